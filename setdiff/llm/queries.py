@@ -6,11 +6,12 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, hilbert, langid, line_rules, simhash
+from . import bpe, hilbert, langid, line_rules, simhash, token_scan, warc
 from .common import id_crc_mod, table
 from .sql import ORACLES
 
 SHARDS = 16
+END_OF_DOCUMENT = 50256
 RANKS = "byte_bpe_multi_50k.tiktoken"
 
 
@@ -31,6 +32,14 @@ def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(table(spark, sf_dir, "documents"), public_tokenizers.path(RANKS), public_tokenizers.PATTERN, with_ids=False)
 
 
+def op5_warc_salvage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc.archive_and_read(table(spark, sf_dir, "pages"), least=0).drop("digest_ok")
+
+
+def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_scan.token_counts(table(spark, sf_dir, "documents"), public_tokenizers.path(RANKS), public_tokenizers.PATTERN, END_OF_DOCUMENT)
+
+
 def op8_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(table(spark, sf_dir, "documents"), size=4, radius=4)
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -43,7 +52,7 @@ def op10_hilbert_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op3_line_rules, op4_byte_bpe, op8_simhash_groups, op10_hilbert_sharding)}
+    return {f.__name__: f for f in (op1_language_id, op3_line_rules, op4_byte_bpe, op5_warc_salvage, op6_token_counts, op8_simhash_groups, op10_hilbert_sharding)}
 
 
 def oracle_sql() -> dict[str, str]:
