@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, hilbert, langid, line_rules, simhash, token_scan, warc
+from . import bpe, decontaminate, hilbert, langid, line_rules, pu_quality, simhash, token_scan, warc
 from .common import id_crc_mod, table
 from .sql import ORACLES
 
@@ -24,6 +24,10 @@ def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op2_benchmark_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), similarity=0.8)
+
+
 def op3_line_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_rules.clean_lines(table(spark, sf_dir, "documents"), with_text=False)
 
@@ -40,6 +44,13 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_scan.token_counts(table(spark, sf_dir, "documents"), public_tokenizers.path(RANKS), public_tokenizers.PATTERN, END_OF_DOCUMENT)
 
 
+def op7_pu_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    held = F.coalesce(id_crc_mod("doc_id", 5) == 0, F.lit(False))
+    model = pu_quality.fit(docs, table(spark, sf_dir, "labels"), id_crc_mod("doc_id", 5) != 0)
+    return pu_quality.score(docs, model).select("doc_id", held.alias("held_out"), "score", F.when(F.col("score") >= 0.3, 1).otherwise(0).alias("predicted"))
+
+
 def op8_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(table(spark, sf_dir, "documents"), size=4, radius=4)
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -52,7 +63,7 @@ def op10_hilbert_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op3_line_rules, op4_byte_bpe, op5_warc_salvage, op6_token_counts, op8_simhash_groups, op10_hilbert_sharding)}
+    return {f.__name__: f for f in (op1_language_id, op2_benchmark_windows, op3_line_rules, op4_byte_bpe, op5_warc_salvage, op6_token_counts, op7_pu_quality, op8_simhash_groups, op10_hilbert_sharding)}
 
 
 def oracle_sql() -> dict[str, str]:
