@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, hilbert, langid, line_rules, pu_quality, simhash, token_scan, warc
+from . import bpe, decontaminate, hilbert, langid, line_rules, pu_quality, simhash, suffix_dedup, token_scan, warc
 from .common import id_crc_mod, table
 from .sql import ORACLES
 
@@ -56,6 +56,10 @@ def op8_simhash_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op9_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeats(table(spark, sf_dir, "documents"))
+
+
 def op10_hilbert_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return hilbert.hilbert_shards(table(spark, sf_dir, "documents"), SHARDS).select(
         "doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", F.col("slot").cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard")
@@ -63,7 +67,7 @@ def op10_hilbert_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_language_id, op2_benchmark_windows, op3_line_rules, op4_byte_bpe, op5_warc_salvage, op6_token_counts, op7_pu_quality, op8_simhash_groups, op10_hilbert_sharding)}
+    return {f.__name__: f for f in (op1_language_id, op2_benchmark_windows, op3_line_rules, op4_byte_bpe, op5_warc_salvage, op6_token_counts, op7_pu_quality, op8_simhash_groups, op9_suffix_dedup, op10_hilbert_sharding)}
 
 
 def oracle_sql() -> dict[str, str]:
