@@ -434,3 +434,43 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     if with_text:
         cols.append(F.when(everything, F.lit("")).when(F.col("_left").isNotNull(), F.col("_left")).otherwise(F.col("text")).alias("clean_text"))
     return out.select(*cols)
+
+
+def clean_documents(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT) -> DataFrame:
+    """``docs`` with every repeated string cut out of its text, at whole characters, and n_chars set anew; rows left without text are dropped.
+
+    All columns are kept; rows with a null text pass.
+    """
+    spans, copies = repeat_spans(docs, length, gram, hot)
+    everything = copies.select("t1", "t2", F.lit(True).alias("_all"), F.lit(None).cast("array<struct<a:bigint,b:bigint>>").alias("_gone"))
+    some = spans.join(copies, ["t1", "t2"], "left_anti").select("t1", "t2", F.lit(False).alias("_all"), F.col("stretches").alias("_gone"))
+    marks = keep(everything.union(some), "marks")
+    joined = _keys(docs).join(marks, ["t1", "t2"], "left").where("not coalesce(_all, false)")
+    joined = joined.select(*[F.col(c) for c in docs.columns if c != "text"], "text", F.col("_gone.a").alias("_a"), F.col("_gone.b").alias("_b"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            texts, stay = [], []
+            for text, begin, end in zip(*(b.column(c).to_pylist() for c in ("text", "_a", "_b")), strict=True):
+                if begin:
+                    raw, left, at = text.encode("utf-8", "surrogatepass"), [], 0
+                    for x, y in at_characters(raw, join_stretches(list(zip(begin, end, strict=True)))):
+                        left.append(raw[at:x])
+                        at = y
+                    text = b"".join([*left, raw[at:]]).decode("utf-8", "replace")
+                    stay.append(bool(text.strip()))
+                else:
+                    stay.append(True)
+                texts.append(text)
+            out = []
+            for f in docs.schema.fields:
+                if f.name == "text":
+                    out.append(pa.array(texts, pa.string()))
+                elif f.name == "n_chars":
+                    lens = [n if not a else len(t) for n, a, t in zip(b.column("n_chars").to_pylist(), b.column("_a").to_pylist(), texts, strict=True)]
+                    out.append(pa.array(lens, b.column("n_chars").type))
+                else:
+                    out.append(b.column(f.name))
+            yield pa.RecordBatch.from_arrays(out, docs.columns).filter(pa.array(stay, pa.bool_()))
+
+    return joined.mapInArrow(run, docs.schema)
