@@ -448,6 +448,8 @@ def clean_documents(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot
     joined = _keys(docs).join(marks, ["t1", "t2"], "left").where("not coalesce(_all, false)")
     joined = joined.select(*[F.col(c) for c in docs.columns if c != "text"], "text", F.col("_gone.a").alias("_a"), F.col("_gone.b").alias("_b"))
 
+    names = docs.columns
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts, stay = [], []
@@ -463,14 +465,14 @@ def clean_documents(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot
                     stay.append(True)
                 texts.append(text)
             out = []
-            for f in docs.schema.fields:
-                if f.name == "text":
+            for name in names:
+                if name == "text":
                     out.append(pa.array(texts, pa.string()))
-                elif f.name == "n_chars":
+                elif name == "n_chars":
                     lens = [n if not a else len(t) for n, a, t in zip(b.column("n_chars").to_pylist(), b.column("_a").to_pylist(), texts, strict=True)]
                     out.append(pa.array(lens, b.column("n_chars").type))
                 else:
-                    out.append(b.column(f.name))
-            yield pa.RecordBatch.from_arrays(out, docs.columns).filter(pa.array(stay, pa.bool_()))
+                    out.append(b.column(name))
+            yield pa.RecordBatch.from_arrays(out, names).filter(pa.array(stay, pa.bool_()))
 
     return joined.mapInArrow(run, docs.schema)
