@@ -31,8 +31,10 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import small
+
 #: Characters of text that are encoded together, and pre-tokens that a worker remembers between batches.
-TOGETHER, REMEMBERED = 16 << 20, 600_000
+TOGETHER, REMEMBERED = 8 << 20, 300_000
 #: Fewer new pre-tokens than this are merged one at a time.
 FEW = 400
 
@@ -284,18 +286,30 @@ def encode_documents(docs: DataFrame, path: str, pattern: str, with_ids: bool =
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         e = encoder(path, pattern)
         names, value = e.v.names, e.v.bytes_of
-        for b in batches:
-            n, ids, back, kept = [], [], [], []
-            for got in e.encode_all(b.column(1).to_pylist()):
-                n.append(len(got))
-                ids.append(hashlib.sha256(",".join(map(names.__getitem__, got)).encode()).hexdigest())
-                back.append(hashlib.sha256(b"".join(map(value.__getitem__, got))).hexdigest())
-                if with_ids:
-                    kept.append(np.array(got, np.int32))
-            cols = [b.column(0), pa.array(n, pa.int64()), pa.array(ids, pa.string()), pa.array(back, pa.string())]
+        ids_of: list[pa.Array] = []
+        done: list[tuple] = []
+
+        def pack() -> pa.RecordBatch:
+            cols = [pa.chunked_array(ids_of, pa.int64()).combine_chunks(), *(pa.array([x[i] for x in done], t) for i, t in enumerate((pa.int64(), pa.string(), pa.string())))]
             if with_ids:
-                cols.append(pa.array(kept, pa.list_(pa.int32())))
-            yield pa.RecordBatch.from_arrays(cols, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", *["ids"] * with_ids])
+                cols.append(pa.array([x[3] for x in done], pa.list_(pa.int32())))
+            return pa.RecordBatch.from_arrays(cols, ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", *["ids"] * with_ids])
+
+        def texts() -> Iterator[str | None]:
+            for b in small(batches):
+                ids_of.append(b.column(0))
+                yield from b.column(1).to_pylist()
+
+        for got in e.encode_all(texts()):
+            ids = hashlib.sha256(",".join(map(names.__getitem__, got)).encode()).hexdigest()
+            back = hashlib.sha256(b"".join(map(value.__getitem__, got))).hexdigest()
+            done.append((len(got), ids, back, np.array(got, np.int32) if with_ids else None))
+            if len(done) == len(ids_of[0]):
+                rest = ids_of[1:]
+                del ids_of[1:]
+                yield pack()
+                ids_of[:] = rest
+                done.clear()
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, schema)

@@ -6,6 +6,7 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from collections.abc import Iterable, Iterator
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -59,6 +60,13 @@ def keep(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def small(batches: Iterable, rows: int = 512) -> Iterator:
+    """The batches in slices of a few rows, so that a Python worker holds few texts at a time."""
+    for b in batches:
+        for at in range(0, b.num_rows, rows):
+            yield b.slice(at, rows)
+
+
 def id_crc_mod(column: str, n: int) -> Column:
     """crc32 of the id as decimal text, modulo ``n``; null for a null id."""
     return F.crc32(F.col(column).cast("string")) % n

@@ -28,6 +28,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import small
+
 SHINGLE, BLOCKS, WITHIN = 5, 4, 3
 #: Every fingerprint within this many bits is found: some block then differs in WITHIN bits at most.
 RADIUS = BLOCKS * (WITHIN + 1) - 1
@@ -172,7 +174,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, similarity: float = 0.8) -
 
         def run(batches: Iterator[pa.RecordBatch], items=items) -> Iterator[pa.RecordBatch]:
             index = _index(items)
-            for b in batches:
+            for b in small(batches):
                 got = [(doc, *x) for doc, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) for x in index.find(text, similarity)]
                 kinds = [pa.int64(), pa.int64(), pa.float64(), pa.int32(), pa.int64(), pa.int64()]
                 yield pa.RecordBatch.from_arrays([pa.array([g[i] for g in got], k) for i, k in enumerate(kinds)], [x.split()[0] for x in schema.split(", ")])
@@ -189,7 +191,7 @@ def drop_leaks(docs: DataFrame, benchmark: DataFrame, similarity: float = 0.8) -
 
         def run(batches: Iterator[pa.RecordBatch], items=items) -> Iterator[pa.RecordBatch]:
             index = _index(items)
-            for b in batches:
+            for b in small(batches):
                 clean = [not index.find(t, similarity) for t in b.column("_text").to_pylist()]
                 yield b.drop_columns(["_text"]).filter(pa.array(clean, pa.bool_()))
 

@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import small
+
 UNDETERMINED = "und"
 BUCKETS = 1 << 14
 BLOCK = 1 << 20
@@ -119,7 +121,7 @@ def fit(docs: DataFrame, train: Column, per_language: int = 3000, most_languages
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros((len(langs), BUCKETS))
-        for b in batches:
+        for b in small(batches):
             for lang, text in zip(b.column("lang").to_pylist(), b.column("text").to_pylist(), strict=True):
                 total[place[lang]] += ngram_counts(text)
         i, j = np.nonzero(total)
@@ -138,7 +140,7 @@ def fit(docs: DataFrame, train: Column, per_language: int = 3000, most_languages
 
     def try_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total, bits = np.zeros((len(langs), 1 + 2 * code.shape[1])), code.shape[1]
-        for b in batches:
+        for b in small(batches):
             for lang, text in zip(b.column("lang").to_pylist(), b.column("text").to_pylist(), strict=True):
                 f, i = model.margins(text), place[lang]
                 total[i, 0] += 1
@@ -166,7 +168,7 @@ def identify(docs: DataFrame, model: LanguageCodes) -> DataFrame:
     own = ("lang_pred", "lang_score", "lang_ambiguous")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             found = [model.predict(t) for t in b.column("_text").to_pylist()]
             cols = [b.column(i) for i in range(b.num_columns - 1)]
             new = [pa.array([f[k] for f in found], t) for k, t in enumerate((pa.string(), pa.float64(), pa.bool_()))]

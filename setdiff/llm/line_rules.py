@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import WORD_SPACE
+from .common import WORD_SPACE, small
 
 #: Fixed values of the rules.
 SYMBOLS = b"#*$%&|<>"
@@ -119,7 +119,7 @@ def clean_lines(docs: DataFrame, with_text: bool = True) -> DataFrame:
     names = [n for n, _ in FIELDS]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             found = list(zip(*(judge(t)[: 11 if with_text else 10] for t in b.column(1).to_pylist()), strict=True)) or [[]] * (11 if with_text else 10)
             cols = [b.column(0), *(pa.array(found[i], pa.bool_() if FIELDS[i][1] == "boolean" else pa.int64()) for i in range(10))]
             if with_text:

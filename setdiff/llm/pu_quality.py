@@ -26,6 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import small
 from .line_rules import repeated_words
 
 _CLASS = np.full(256, 2, np.uint8)
@@ -130,7 +131,7 @@ def fit(docs: DataFrame, labels: DataFrame, train: Column, positives: int = 6000
     seen = seen.select("text", F.col("_p").isNotNull().alias("p"), F.coalesce(other, F.lit(False)).alias("u")).where("p or u")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             x = [features(t).astype(np.float32) for t in b.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.float32())), b.column(1), b.column(2)], ["x", "p", "u"])
 
@@ -151,10 +152,8 @@ def score(docs: DataFrame, model: QualityModel) -> DataFrame:
     """(doc_id, score) of every row; the score is the model's probability of label 1."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for at in range(0, b.num_rows, 512):
-                c = b.slice(at, 512)
-                x = np.array([features(t) for t in c.column(1).to_pylist()]).reshape(-1, N_FEATURES)
-                yield pa.RecordBatch.from_arrays([c.column(0), pa.array(model.scores(x))], ["doc_id", "score"])
+        for b in small(batches):
+            x = np.array([features(t) for t in b.column(1).to_pylist()]).reshape(-1, N_FEATURES)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(model.scores(x))], ["doc_id", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double")

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, keep
+from .common import bounded_broadcast, keep, small
 from .components import connected
 
 SEED, WIDTH = 42, 64
@@ -68,7 +68,7 @@ def fingerprints(docs: DataFrame, size: int = 4) -> DataFrame:
     """(doc_id, fp) of every row; ``fp`` is the fingerprint as a signed long."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             fp = np.array([fingerprint(t, size) for t in b.column(1).to_pylist()], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp)], ["doc_id", "fp"])
 

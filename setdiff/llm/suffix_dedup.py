@@ -33,13 +33,13 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep
+from .common import keep, small
 
 LENGTH, GRAM = 400, 64
 #: Texts that may share a gram and still be compared in one task.
 HOT = 512
 #: Bytes of segments that a task sorts into one set of runs; bytes of segments that a merge takes.
-RUN_BYTES, MERGE_BYTES = 24 << 20, 4 << 20
+RUN_BYTES, MERGE_BYTES = 16 << 20, 4 << 20
 #: Groups up to this size are compared pair by pair, larger ones by classes.
 PAIRWISE = 20
 
@@ -256,6 +256,30 @@ def _cut_runs(members: list[tuple[int, tuple]], length: int) -> Iterator[pa.Reco
         yield _rows(_RUN, 1, bucket=[bucket], blob=[pack_run(run)])
 
 
+def _cut_windows(windows: list[np.ndarray], length: int) -> Iterator[pa.RecordBatch]:
+    """Settles equal windows of a task's hot grams; one of each goes on, marked in ``b`` if it is settled."""
+    if not windows:
+        return
+    w = np.concatenate(windows, axis=1)
+    w = w[:, np.lexsort((w[4], w[3], w[2], w[1], w[0]))]
+    new = np.ones(w.shape[1], bool)
+    new[1:] = (w[:2, 1:] != w[:2, :-1]).any(0)
+    which = np.cumsum(new) - 1
+    often = np.bincount(which) > 1
+    g = w[2:, often[which]]
+    g = g[:, np.lexsort((g[2], g[1], g[0]))]
+    if g.shape[1]:
+        cut = np.ones(g.shape[1], bool)
+        cut[1:] = (g[:2, 1:] != g[:2, :-1]).any(0) | (g[2, 1:] != g[2, :-1] + 1)
+        begin = np.flatnonzero(cut)
+        end = np.append(begin[1:], g.shape[1]) - 1
+        yield _rows(_STRETCH, len(begin), t1=g[0, begin], t2=g[1, begin], a=g[2, begin], b=g[2, end] + length)
+    one = w[:, new]
+    for at in range(0, one.shape[1], 1 << 16):
+        c = one[:, at : at + (1 << 16)]
+        yield _rows(_WINDOWS, c.shape[1], w1=c[0], w2=c[1], t1=c[2], t2=c[3], a=c[4], b=often[at : at + c.shape[1]].astype(np.int64))
+
+
 def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT) -> DataFrame:
     """(t1, t2, a, b): stretches to remove, by key of the text; ``texts`` (t1, t2, raw binary) may hold copies of a text.
 
@@ -264,7 +288,7 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
     spark = texts.sparkSession
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             for t1, t2, raw in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 h, n = np.unique(anchors(raw, length, gram)[0].view(np.int64), return_counts=True)
                 if len(h):
@@ -286,8 +310,9 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         members: list[tuple[int, tuple]] = []
+        windows: list[np.ndarray] = []
         size = 0
-        for b in batches:
+        for b in small(batches):
             for t1, t2, raw, grams_of, hot_of in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 h, at, first, last = anchors(raw, length, gram)
                 some, is_hot = np.array(grams_of, np.int64).view(np.uint64), np.array(hot_of, bool)
@@ -300,11 +325,14 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
                     w1, w2 = string_hashes(raw, length), string_hashes(raw, length, _M2)
                     starts = np.concatenate([np.arange(first[i], last[i] + 1) for i in warm.tolist()])
                     n = len(starts)
-                    yield _rows(_WINDOWS, n, w1=w1[starts].view(np.int64), w2=w2[starts].view(np.int64), t1=np.full(n, t1), t2=np.full(n, t2), a=starts)
+                    windows.append(np.stack([w1[starts].view(np.int64), w2[starts].view(np.int64), np.full(n, t1), np.full(n, t2), starts]))
+                    size += 80 * n
                 if size > RUN_BYTES:
                     yield from _cut_runs(members, length)
-                    members, size = [], 0
+                    yield from _cut_windows(windows, length)
+                    members, windows, size = [], [], 0
         yield from _cut_runs(members, length)
+        yield from _cut_windows(windows, length)
 
     distinct = texts.groupBy("t1", "t2").agg(F.first("raw").alias("raw"))
     cuts = keep(distinct.join(wanted, ["t1", "t2"]).select("t1", "t2", "raw", "gram", "hot").mapInArrow(cut, _PARTS), "runs")
@@ -339,9 +367,9 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
 
     runs = cuts.where(F.col("kind") == _RUN).select("bucket", "blob").repartition(buckets, "bucket").sortWithinPartitions("bucket")
     merged = runs.mapInArrow(merge, "t1 long, t2 long, a long, b long")
-    windows = cuts.where(F.col("kind") == _WINDOWS).select("w1", "w2", "t1", "t2", "a")
+    windows = cuts.where(F.col("kind") == _WINDOWS).select("w1", "w2", "t1", "t2", "a", F.col("b").alias("settled"))
     again = windows.groupBy("w1", "w2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("w1", "w2")
-    of_hot = windows.join(again, ["w1", "w2"]).select("t1", "t2", "a", (F.col("a") + length).alias("b"))
+    of_hot = windows.where("settled = 0").join(again, ["w1", "w2"]).select("t1", "t2", "a", (F.col("a") + length).alias("b"))
     settled = cuts.where(F.col("kind") == _STRETCH).select("t1", "t2", "a", "b")
     return settled.union(merged).union(of_hot)
 
@@ -396,7 +424,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     cut = texts.join(spans, ["t1", "t2"]).select("t1", "t2", "raw", "stretches.a", "stretches.b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             rows = []
             for t1, t2, raw, begin, end in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 gone = join_stretches(list(zip(begin, end, strict=True)))
@@ -451,7 +479,7 @@ def clean_documents(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot
     names = docs.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             texts, stay = [], []
             for text, begin, end in zip(*(b.column(c).to_pylist() for c in ("text", "_a", "_b")), strict=True):
                 if begin:

@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import bpe
-from .common import keep, scratch
+from .common import keep, scratch, small
 
 BLOCK = 4 << 20
 #: Blocks that the first level of the prefix scan takes together.
@@ -126,9 +126,7 @@ def write_flat(docs: DataFrame, path: str, ranks: str, pattern: str, eod: int) -
         name = f"{base}/{uuid.uuid4().hex}.bin"
         n, out = 0, None
         try:
-            for b in batches:
-                if not b.num_rows:
-                    continue
+            for b in small(batches, 4096):
                 if out is None:
                     store.create_dir(base, recursive=True)
                     out = store.open_output_stream(name)

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, keep, scratch
+from .common import bounded_broadcast, keep, scratch, small
 
 VERSION = b"WARC/1.1"
 _STARTS = re.compile(rb"^WARC/1\.\d\r?\n", re.M)
@@ -83,7 +83,7 @@ def write_archive(pages: DataFrame, path: str, least: int = 0, records_per_file:
     """Writes ``pages`` (page_id, url, html) as gzipped WARC files under ``path``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             out = []
             for page, row, url, payload, refers in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 out.append(member(record("response" if refers is None else "revisit", page, row, url, payload, sha1_base32(payload), refers)))
