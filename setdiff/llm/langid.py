@@ -81,7 +81,7 @@ class LanguageCodes:
     weights: np.ndarray
     scale: np.ndarray
     trust: np.ndarray
-    gap: float = 0.15
+    gap: float = 0.05
 
     def margins(self, text: str) -> np.ndarray:
         c = ngram_counts(text)

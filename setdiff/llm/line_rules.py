@@ -31,7 +31,7 @@ from .common import WORD_SPACE, small
 SYMBOLS = b"#*$%&|<>"
 SEPARATORS = (b"|", b">", b"/", b"-", b"\xc2\xbb", b"\xe2\x80\xa2")
 SENTENCE_MARKS = ".!?:;"
-NOTICE = r"licen[cs]ed under|under the .{0,60}licen[cs]e|all rights reserved|copyright|cookie policy|privacy policy|terms of (use|service)|enable javascript"
+NOTICE = r"licen[cs]ed under|under the [ -~]{0,60}licen[cs]e|all rights reserved|copyright|cookie policy|privacy policy|terms of (use|service)|enable javascript"
 WINDOW, MOST_REPEATED, LEAST_WORDS, MOST_LOST = 8, 30, 20, 50
 
 _NOTICE = re.compile(NOTICE.encode(), re.I)
