@@ -45,10 +45,11 @@ def asof_latest(df: DataFrame, key: str, ts: str, cut: Column | str) -> DataFram
 
 def interval_match(a: DataFrame, b: DataFrame, key: str, ts: str, seconds: int) -> DataFrame:
     """Pairs of equal key whose times are within ``seconds``: equal time buckets or neighbouring ones, then the exact test."""
-    bucket = F.floor(F.col(ts).cast("double") / seconds)
-    x = a.select(F.col(key), F.col(ts).alias("ts_a"), bucket.alias("_b"))
-    y = b.select(F.col(key), F.col(ts).alias("ts_b"), F.explode(F.array(bucket - 1, bucket, bucket + 1)).alias("_b"))
-    return x.join(y, [key, "_b"]).where(F.abs(F.col("ts_a").cast("double") - F.col("ts_b").cast("double")) <= seconds).drop("_b")
+    at = F.col(ts).cast("timestamp").cast("double")
+    bucket = F.floor(at / seconds)
+    x = a.select(F.col(key), at.alias("ts_a"), bucket.alias("_b"))
+    y = b.select(F.col(key), at.alias("ts_b"), F.explode(F.array(bucket - 1, bucket, bucket + 1)).alias("_b"))
+    return x.join(y, [key, "_b"]).where(F.abs(F.col("ts_a") - F.col("ts_b")) <= seconds).drop("_b")
 
 
 def rollup_metrics(df: DataFrame, dims: list[str], values: list[str]) -> DataFrame:
