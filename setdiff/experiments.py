@@ -158,7 +158,7 @@ def split_ways(spark: SparkSession) -> DataFrame:
         x = rng.binomial(1000, 1 / 200, 4_000_000)
         x = x[x > 13]
         child = rng.multinomial(x, [1 / ways] * ways)
-        rows.append((ways, M.p_split_overflow(ways, 1000, 200, 13), float((child.max(1) > 13).mean())))
+        rows.append((ways, float(M.p_split_overflow(ways, 1000, 200, 13)), float((child.max(1) > 13).mean())))
     return spark.createDataFrame(rows, "ways int, model double, simulated double")
 
 
@@ -193,7 +193,7 @@ def filter_use(spark: SparkSession, size: int = 1_000_000, ds: tuple[int, ...] =
         rate = C.best_rate(size - d, d)
         k = C.hashes_for(d)
         plain = C.cells_for(d, k) * 96
-        bits = plain if rate >= 1 else C.filter_shape(size - d, rate)[0] + C.cells_for(1.5 * rate * d + 4, 4) * 96
+        bits = plain if rate >= 1 else C.filter_shape(size - d, rate)[0] + C.cells_for(C.passing(rate, d), 4) * 96
         rows.append((d, bool(rate < 1), bits / 8))
     return spark.createDataFrame(rows, "d long, filter_used boolean, model_bytes double")
 

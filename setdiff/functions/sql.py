@@ -9,6 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import LongType
 
 from setdiff.functions import hashing as H
 from setdiff.functions.gf import field
@@ -49,7 +50,7 @@ class TransitionMatrix:
                 yield (i, j, float(p))
 
 
-@pandas_udf("long")
+@pandas_udf(LongType())
 def gf_mul(a: pd.Series, b: pd.Series, m: pd.Series) -> pd.Series:
     """Products in GF(2**m), tables per m."""
     out = pd.Series(0, index=a.index)

@@ -7,7 +7,7 @@ gives a difference; taking it out of its other cells may lay bare more.
 
 from __future__ import annotations
 
-from math import ceil, log, log2
+from math import ceil, log, log2, sqrt
 
 
 import pandas as pd
@@ -176,6 +176,11 @@ def filter_breakeven(size_b: int, cell_bits: float = 192.0) -> float:
     return size_b / (log(2) ** 2 * cell_bits)
 
 
+def passing(rate: float, d: float) -> float:
+    """Elements to lay the cell table out for, once the filter has been by: its false positives with a margin of three deviations."""
+    return rate * d + 3 * sqrt(rate * d) + 8
+
+
 def filter_cells(a: DataFrame, b: DataFrame, d_hat: float, size_b: int, grouped: bool = False) -> tuple[DataFrame, dict]:
     """(inst, sig, side), and what was sent: B's filter, if it pays, rids A of most of what B lacks; a cell table settles the rest."""
     a, b = with_inst(a), with_inst(b)
@@ -188,7 +193,7 @@ def filter_cells(a: DataFrame, b: DataFrame, d_hat: float, size_b: int, grouped:
     kept = passes(a, filter_rows(b, bits, fk), bits, fk)
     kept = written(kept, "passed")
     gone = a.join(kept, ["inst", "sig"], "left_anti").withColumn("side", F.lit("A_only"))
-    rest = max(8.0, 1.5 * rate * d_hat + 4)
+    rest = passing(rate, d_hat)
     k = hashes_for(rest)
     return gone.union(cell_digest(kept, b, rest, grouped)), {"filter_bits": bits, "cells": cells_for(rest, k)}
 

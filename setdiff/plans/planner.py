@@ -42,7 +42,7 @@ def predicted_bits(d: float, size_a: int, size_b: int, w: int = 32, p: Params |
         "bin_parity": p.g * M.bits_per_group(p.n, p.t, 0, w) + d * (p.m + w), "grouped_syndrome": p.g * (p.t * w + w),
     }
     rate = C.best_rate(size_b, d)
-    out["filter_cells"] = out["cell_table"] if rate >= 1 else C.filter_shape(size_b, rate)[0] + C.cells_for(1.5 * rate * d + 4, 4) * 3.0 * w
+    out["filter_cells"] = out["cell_table"] if rate >= 1 else C.filter_shape(size_b, rate)[0] + C.cells_for(C.passing(rate, d), 4) * 3.0 * w
     return out
 
 
