@@ -63,9 +63,9 @@ def _sigmoid(z: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(z, -40, 40)))
 
 
-def _descend(grad, n: int, steps: int = 600, rate: float = 0.03, decay: float = 1e-4) -> np.ndarray:
+def _descend(grad, n: int, steps: int = 400, rate: float = 0.04, decay: float = 1e-4) -> np.ndarray:
     """Weights after Adam steps on ``grad``."""
-    w, m, v = np.zeros(n), np.zeros(n), np.zeros(n)
+    w, m, v = (np.zeros(n, np.float32) for _ in range(3))
     for t in range(1, steps + 1):
         g = grad(w) + decay * w
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
@@ -119,7 +119,7 @@ class QualityModel:
         return _sigmoid(z @ self.weights)
 
 
-def fit(docs: DataFrame, labels: DataFrame, train: Column, positives: int = 6000, unlabelled: int = 12_000) -> QualityModel:
+def fit(docs: DataFrame, labels: DataFrame, train: Column, positives: int = 5000, unlabelled: int = 10_000) -> QualityModel:
     """Learns from labels of rows where ``train`` (on doc_id) holds and from unlabelled texts; at most about the bounded numbers of each."""
     trusted = labels.where(train & (F.col("quality") == 1)).select("doc_id").distinct()
     draw = F.pmod(F.xxhash64("doc_id", F.lit("quality sample")), F.lit(1 << 20)) / F.lit(1 << 20)
@@ -143,7 +143,8 @@ def fit(docs: DataFrame, labels: DataFrame, train: Column, positives: int = 6000
     if not isp.any() or not isu.any():
         return QualityModel(mean, dev, np.zeros(N_FEATURES + 1), 0.5)
     order = np.random.default_rng(3).permutation(len(z))
-    p, u = z[order][isp[order]], z[order][isu[order]]
+    z = z[order].astype(np.float32)
+    p, u = z[isp[order]], z[isu[order]]
     prior = estimate_prior(p, u)
     return QualityModel(mean, dev, nn_pu(p, u, prior), prior)
 
