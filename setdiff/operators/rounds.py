@@ -89,7 +89,7 @@ def reconcile_iter(a: DataFrame, b: DataFrame, p: Params, shape: str = "two_pass
     a, b = S.with_inst(a), S.with_inst(b)
     found: DataFrame | None = None
     open_: DataFrame | None = None
-    n_open = levels = 0
+    n_open = levels = n_found = 0
     k = 0
     while open_ is None or n_open:
         k += 1
@@ -115,19 +115,21 @@ def reconcile_iter(a: DataFrame, b: DataFrame, p: Params, shape: str = "two_pass
         types = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in sketch.schema.fields if f.name in keys)
         order = [f.name for f in sketch.schema.fields if f.name in keys]
         decoded = written(sketch.mapInArrow(D.decode_batches(order, p.m, p.t, p.solver), f"{types}, ok boolean, bins array<bigint>").withColumn("round", F.lit(k)), "decoded")
+        few = decoded.where("ok").agg(F.coalesce(F.sum(F.size("bins")), F.lit(0))).first()[0]
+        n_found += few
         flagged = decoded.where("ok").select(*NODE, F.explode("bins").alias("bin"))
         if shape == "bins":
             recovered = table.join(flagged, [*NODE, "bin"]).select(*NODE, "bin", F.col("xa").bitwiseXOR(F.col("xb")).alias("sig")).where("sig <> 0")
         else:
-            few = decoded.where("ok").agg(F.sum(F.size("bins"))).first()[0] or 0
             sums_of = lambda side: S.xor_sums(rows.where(F.col("side") == side), flagged, NODE, few)  # noqa: E731, B023
             recovered = S.recover(sums_of(0), sums_of(1), NODE)
-        candidates = written(recovered.withColumn("round", F.lit(k)), "candidates")
+        candidates = recovered.withColumn("round", F.lit(k))
+        if shape != "bins":  # there it is a join of two small written tables, here another pass over the rows
+            candidates = written(candidates, "candidates")
         new = S.check_candidates(candidates, p, k, levels)
         every = new.select("inst", "sig") if found is None else found.select("inst", "sig").union(new.select("inst", "sig"))
         folded = every.groupBy("inst", "sig").agg((F.count(F.lit(1)) % 2).alias("_odd")).where("_odd = 1").select("inst", "sig")
-        folded = written(folded, "folded")
-        in_a = a.join(F.broadcast(folded) if folded.count() <= S.BROADCAST_ROWS else folded, ["inst", "sig"], "left_semi").withColumn("_in", F.lit(True)).distinct()
+        in_a = a.join(F.broadcast(folded) if n_found <= S.BROADCAST_ROWS else folded, ["inst", "sig"], "left_semi").withColumn("_in", F.lit(True)).distinct()
         found = written(folded.join(in_a, ["inst", "sig"], "left").select("inst", "sig", F.col("_in").isNotNull().alias("in_a")), "found")
         mine = S.with_node(found, p, open_, levels, n_open)
         v = V.value(p)
