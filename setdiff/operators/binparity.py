@@ -20,9 +20,23 @@ LITERAL_BINS = 511
 BROADCAST_ROWS = 1_000_000
 
 
+#: Lanes of signatures over 64 bits; ``sig`` is then a 64-bit hash of them, for hashing and checksums.
+WIDE = ("l0", "l1", "l2", "l3")
+
+
+def wide_columns(df: DataFrame) -> list[str]:
+    return [c for c in WIDE if c in df.columns]
+
+
+def wide_set(df: DataFrame, lanes: Column) -> DataFrame:
+    """(sig, l0..l3) of distinct 256-bit signatures, from a struct of lanes."""
+    rows = df.select(lanes.alias("_l")).where("_l is not null").select("_l.*").distinct()
+    return rows.select(F.xxhash64(*WIDE).alias("sig"), *WIDE)
+
+
 def with_inst(df: DataFrame) -> DataFrame:
-    cols = ["inst", "sig"] if "inst" in df.columns else [F.lit(0).cast("long").alias("inst"), "sig"]
-    return df.select(*cols).withColumn("inst", F.col("inst").cast("long"))
+    inst = F.col("inst") if "inst" in df.columns else F.lit(0)
+    return df.select(inst.cast("long").alias("inst"), "sig", *wide_columns(df))
 
 
 def with_bin(df: DataFrame, n: int, seed: int, family: str = "fast") -> DataFrame:
@@ -82,17 +96,24 @@ def encode(df: DataFrame, keys: list[str], m: int, t: int) -> DataFrame:
     return df.groupBy(*keys).agg(F.array(*[F.bit_xor(x) for x in lanes]).alias("cw"))
 
 
-def xor_sums(df: DataFrame, flagged: DataFrame, keys: list[str], n_flagged: int = 0) -> DataFrame:
-    """(keys, bin, xs): XOR of the signatures in each flagged bin."""
+def xor_sums(df: DataFrame, flagged: DataFrame, keys: list[str], n_flagged: int = 0, cols: tuple[str, ...] = ("sig",)) -> DataFrame:
+    """(keys, bin, cols): XOR of the signatures, or of each lane of them, in each flagged bin."""
     want = flagged.select(*keys, "bin")
     want = F.broadcast(want) if n_flagged <= BROADCAST_ROWS else want.hint("shuffle_hash")
-    return df.join(want, [*keys, "bin"], "left_semi").groupBy(*keys, "bin").agg(F.bit_xor("sig").alias("xs"))
+    return df.join(want, [*keys, "bin"], "left_semi").groupBy(*keys, "bin").agg(*[F.bit_xor(c).alias(c) for c in cols])
+
+
+def as_candidates(df: DataFrame, keys: list[str], cols: tuple[str, ...]) -> DataFrame:
+    """Zero means no candidate; of a wide signature the hash is worked out from its lanes."""
+    df = df.where(" or ".join(f"{c} <> 0" for c in cols))
+    return df.select(*keys, "bin", *([] if "sig" in cols else [F.xxhash64(*cols).alias("sig")]), *cols)
 
 
-def recover(xa: DataFrame, xb: DataFrame, keys: list[str]) -> DataFrame:
-    """(keys, bin, sig): XOR of both hosts' sums; zero means no candidate."""
-    both = xa.withColumnRenamed("xs", "_a").join(xb.withColumnRenamed("xs", "_b"), [*keys, "bin"], "full")
-    return both.select(*keys, "bin", F.coalesce("_a", F.lit(0)).bitwiseXOR(F.coalesce("_b", F.lit(0))).alias("sig")).where("sig <> 0")
+def recover(xa: DataFrame, xb: DataFrame, keys: list[str], cols: tuple[str, ...] = ("sig",)) -> DataFrame:
+    """(keys, bin, sig, lanes): XOR of both hosts' sums."""
+    both = xa.toDF(*keys, "bin", *[f"_a_{c}" for c in cols]).join(xb.toDF(*keys, "bin", *[f"_b_{c}" for c in cols]), [*keys, "bin"], "full")
+    zero = F.lit(0).cast("long")
+    return as_candidates(both.select(*keys, "bin", *[F.coalesce(f"_a_{c}", zero).bitwiseXOR(F.coalesce(f"_b_{c}", zero)).alias(c) for c in cols]), keys, cols)
 
 
 def check_candidates(found: DataFrame, p: Params, round_: int, levels: int) -> DataFrame:

@@ -43,11 +43,11 @@ class Reconciliation:
 
     @property
     def a_only(self) -> DataFrame:
-        return self.diff.where("side = 'A_only'").select("inst", "sig")
+        return self.diff.where("side = 'A_only'").select(*self.a.columns)
 
     @property
     def b_only(self) -> DataFrame:
-        return self.diff.where("side = 'B_only'").select("inst", "sig")
+        return self.diff.where("side = 'B_only'").select(*self.a.columns)
 
     def union(self) -> DataFrame:
         """A together with what only B has."""
@@ -76,8 +76,9 @@ def choose_shape(p: Params, n_rows: int) -> str:
 
 def _sides(a: DataFrame, b: DataFrame, found: DataFrame | None) -> DataFrame:
     """Both hosts' rows: (side, own, inst, sig); ``own`` is 0 for differences that A adds to its sketches."""
-    rows = a.select(F.lit(0).alias("side"), F.lit(1).alias("own"), "inst", "sig").union(b.select(F.lit(1), F.lit(1), "inst", "sig"))
-    return rows if found is None else rows.union(found.select(F.lit(0), F.lit(0), "inst", "sig"))
+    cols = ["inst", "sig", *S.wide_columns(a)]
+    rows = a.select(F.lit(0).alias("side"), F.lit(1).alias("own"), *cols).union(b.select(F.lit(1), F.lit(1), *cols))
+    return rows if found is None else rows.union(found.select(F.lit(0), F.lit(0), *cols))
 
 
 def _of(side: int, x: Column) -> Column:
@@ -87,6 +88,8 @@ def _of(side: int, x: Column) -> Column:
 def reconcile_iter(a: DataFrame, b: DataFrame, p: Params, shape: str = "two_pass") -> Iterator[dict]:
     """Yields after each round: round, new (recovered this round), found (all so far), open, n_open, decoded, candidates."""
     a, b = S.with_inst(a), S.with_inst(b)
+    wide = tuple(S.wide_columns(a))
+    cols, whole = wide or ("sig",), ["inst", "sig", *wide]
     found: DataFrame | None = None
     open_: DataFrame | None = None
     n_open = levels = n_found = 0
@@ -97,10 +100,11 @@ def reconcile_iter(a: DataFrame, b: DataFrame, p: Params, shape: str = "two_pass
         own = lambda side: F.when((F.col("side") == side) & (F.col("own") == 1), V.value(p))
         sums = [V.combine(p, own(0)).alias("chk_a"), V.combine(p, own(1)).alias("chk_b"), F.sum("own").alias("cnt")]
         if shape == "bins":
-            xor = lambda side: F.coalesce(F.bit_xor(_of(side, F.col("sig"))), F.lit(0).cast("long"))
+            xor = lambda side, c: F.coalesce(F.bit_xor(_of(side, F.col(c))), F.lit(0).cast("long"))
+            sides = [xor(i, c).alias(f"{s}_{c}") for i, s in enumerate("ab") for c in cols]
             odd = lambda side: F.sum(_of(side, F.lit(1))) % 2 == 1
             table = written(
-                rows.groupBy(*NODE, "bin").agg(xor(0).alias("xa"), xor(1).alias("xb"), F.coalesce(odd(0), F.lit(False)).alias("pa"), F.coalesce(odd(1), F.lit(False)).alias("pb"), *sums), "bins"
+                rows.groupBy(*NODE, "bin").agg(*sides, F.coalesce(odd(0), F.lit(False)).alias("pa"), F.coalesce(odd(1), F.lit(False)).alias("pb"), *sums), "bins"
             )
             looked, lanes = S.lane_columns(table, p.m, p.t)
             again = F.sum if p.checksum != "mset_xor" else F.bit_xor
@@ -119,18 +123,19 @@ def reconcile_iter(a: DataFrame, b: DataFrame, p: Params, shape: str = "two_pass
         n_found += few
         flagged = decoded.where("ok").select(*NODE, F.explode("bins").alias("bin"))
         if shape == "bins":
-            recovered = table.join(flagged, [*NODE, "bin"]).select(*NODE, "bin", F.col("xa").bitwiseXOR(F.col("xb")).alias("sig")).where("sig <> 0")
+            both = table.join(flagged, [*NODE, "bin"]).select(*NODE, "bin", *[F.col(f"a_{c}").bitwiseXOR(F.col(f"b_{c}")).alias(c) for c in cols])
+            recovered = S.as_candidates(both, NODE, cols)
         else:
-            sums_of = lambda side: S.xor_sums(rows.where(F.col("side") == side), flagged, NODE, few)  # noqa: E731, B023
-            recovered = S.recover(sums_of(0), sums_of(1), NODE)
+            sums_of = lambda side: S.xor_sums(rows.where(F.col("side") == side), flagged, NODE, few, cols)  # noqa: E731, B023
+            recovered = S.recover(sums_of(0), sums_of(1), NODE, cols)
         candidates = recovered.withColumn("round", F.lit(k))
         if shape != "bins":  # there it is a join of two small written tables, here another pass over the rows
             candidates = written(candidates, "candidates")
         new = S.check_candidates(candidates, p, k, levels)
-        every = new.select("inst", "sig") if found is None else found.select("inst", "sig").union(new.select("inst", "sig"))
-        folded = every.groupBy("inst", "sig").agg((F.count(F.lit(1)) % 2).alias("_odd")).where("_odd = 1").select("inst", "sig")
-        in_a = a.join(F.broadcast(folded) if n_found <= S.BROADCAST_ROWS else folded, ["inst", "sig"], "left_semi").withColumn("_in", F.lit(True)).distinct()
-        found = written(folded.join(in_a, ["inst", "sig"], "left").select("inst", "sig", F.col("_in").isNotNull().alias("in_a")), "found")
+        every = new.select(*whole) if found is None else found.select(*whole).union(new.select(*whole))
+        folded = every.groupBy(*whole).agg((F.count(F.lit(1)) % 2).alias("_odd")).where("_odd = 1").select(*whole)
+        in_a = a.join(F.broadcast(folded) if n_found <= S.BROADCAST_ROWS else folded, whole, "left_semi").withColumn("_in", F.lit(True)).distinct()
+        found = written(folded.join(in_a, whole, "left").select(*whole, F.col("_in").isNotNull().alias("in_a")), "found")
         mine = S.with_node(found, p, open_, levels, n_open)
         v = V.value(p)
         adjust = mine.groupBy(*NODE).agg(V.combine(p, v if p.checksum == "mset_xor" else F.when(F.col("in_a"), -v).otherwise(v)).alias("adj"))
@@ -146,7 +151,7 @@ def reconcile_iter(a: DataFrame, b: DataFrame, p: Params, shape: str = "two_pass
 def reconcile(a: DataFrame, b: DataFrame, p: Params) -> Reconciliation:
     """Runs rounds until every group's checksum agrees, or ``p.max_rounds`` are over.
 
-    ``a`` and ``b`` have sig (not null, not zero, distinct) and, for many set pairs at once, inst. With no cap the result is the exact
+    ``a`` and ``b`` have sig, for 256 bits also l0 to l3 (see ``binparity.wide_set``; not null, not zero, distinct) and, for many set pairs at once, inst. With no cap the result is the exact
     difference: groups still open after SAFETY_ROUNDS are exchanged in full.
     """
     a, b = S.with_inst(a), S.with_inst(b)
@@ -161,14 +166,15 @@ def reconcile(a: DataFrame, b: DataFrame, p: Params) -> Reconciliation:
     open_ = last["open"]
     if last["n_open"] and p.max_rounds is None:
         rows = S.with_node(_sides(a, b, None), p, open_, last["levels"], last["n_open"])
-        whole = rows.groupBy("inst", "sig").agg(F.max("side").alias("hi"), F.min("side").alias("lo")).where("hi = lo").select("inst", "sig", (F.col("hi") == 0).alias("in_a"))
+        keys = ["inst", "sig", *S.wide_columns(a)]
+        whole = rows.groupBy(*keys).agg(F.max("side").alias("hi"), F.min("side").alias("lo")).where("hi = lo").select(*keys, (F.col("hi") == 0).alias("in_a"))
         closed = found.join(S.with_node(found, p, open_, last["levels"], last["n_open"]).select("inst", "sig"), ["inst", "sig"], "left_anti")
         found, open_ = written(closed.union(whole), "found"), open_.limit(0)
     rounds = None
     for s in steps:
         part = s["new"].select("inst", "round", "root", "path", "bin", "sig")
         rounds = part if rounds is None else rounds.union(part)
-    diff = found.select("inst", "sig", F.when(F.col("in_a"), "A_only").otherwise("B_only").alias("side"))
+    diff = found.select("inst", "sig", *S.wide_columns(a), F.when(F.col("in_a"), "A_only").otherwise("B_only").alias("side"))
     return Reconciliation(a, b, p, diff, rounds, open_, L.bin_parity_ledger(a, b, [s["decoded"] for s in steps], p), [s["decoded"] for s in steps], [s["candidates"] for s in steps])
 
 

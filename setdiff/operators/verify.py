@@ -33,7 +33,7 @@ def agrees(p: Params, a: Column, adjust: Column, b: Column) -> Column:
         return a.bitwiseXOR(F.coalesce(adjust, F.lit(0))).bitwiseXOR(b) == 0
     kind = "long" if p.w == 32 else "decimal(38,0)"
     whole = a.cast(kind) + F.coalesce(adjust, F.lit(0)).cast(kind) - b.cast(kind)
-    return whole % F.lit(str(1 << p.w)).cast(kind if p.w == 32 else "decimal(38,0)") == 0
+    return whole % F.lit(str(1 << min(p.w, 64))).cast(kind if p.w == 32 else "decimal(38,0)") == 0
 
 
 def checksum(df: DataFrame, keys: list[str], w: int = 32) -> DataFrame:

@@ -52,6 +52,27 @@ def totals(ledger: DataFrame, w: int, d: DataFrame) -> DataFrame:
     return out.join(d, "inst").withColumn("ratio", F.col("model_bits") / (F.col("d") * w))
 
 
+def spark_costs(spark, run) -> dict[str, int]:
+    """Jobs, stages and tasks that a call causes."""
+    import uuid
+
+    group = uuid.uuid4().hex
+    spark.sparkContext.setJobGroup(group, "measured")
+    try:
+        run()
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    tracker = spark.sparkContext.statusTracker()
+    jobs = [tracker.getJobInfo(j) for j in tracker.getJobIdsForGroup(group)]
+    stages = [tracker.getStageInfo(s) for j in jobs if j for s in j.stageIds]
+    return {"jobs": len(jobs), "stages": len(stages), "tasks": sum(s.numTasks for s in stages if s)}
+
+
+def field_operations(groups: int, t: int, n: int) -> int:
+    """Products in the field that decoding takes: the recurrence of 2t steps over t coefficients, and the locator at n points."""
+    return groups * (2 * t * t + n * t)
+
+
 def min_bits(d: int, w: int) -> int:
     """The theoretical minimum."""
     return d * w

@@ -336,6 +336,26 @@ def _metrics_pivot(spark: SparkSession, sf: str) -> DataFrame:
     return R.pivot_report(X.signature_lengths(spark), "scheme", "w", "ratio", [32, 64, 256])
 
 
+_CHAT = ["conv_id", "turn", "text"]
+
+
+def _wide(spark: SparkSession, sf: str) -> DataFrame:
+    """256-bit signatures of chat turns; the result has all four lanes."""
+    c = table(spark, sf, "conversations")
+    a, b = (S.wide_set(x, G.row_hash256(_CHAT)) for x in (c, c.where("turn < 4")))
+    d = max(1.0, P.estimate_or(None, a, b) or 1.0)
+    return reconcile(a, b, published(d, w=256)).diff.select(*S.WIDE, "side")
+
+
+def _wide_sql() -> str:
+    text = f"concat_ws('|', {', '.join(f'cast({c} as varchar)' for c in _CHAT)})"
+    lane = "('0x' || sha256({t})[{i}:{j}])::ubigint::hugeint"
+    cols = [lane.format(t=text, i=16 * k + 1, j=16 * k + 16) for k in range(4)]
+    signed = ", ".join(f"({c} - case when {c} >= 9223372036854775808 then 18446744073709551616::hugeint else 0 end)::bigint as l{k}" for k, c in enumerate(cols))
+    every, some = f"select distinct {signed} from conversations", f"select distinct {signed} from conversations where turn < 4"
+    return f"select *, 'A_only' as side from (({every}) except ({some}))"
+
+
 def registry() -> dict[str, tuple[Query, str | None]]:
     """Every query with its SQL, if it has one."""
     q: dict[str, tuple[Query, str | None]] = {}
@@ -345,6 +365,7 @@ def registry() -> dict[str, tuple[Query, str | None]]:
         q[f"bin_parity_small_w14_{n}"] = partial(_small, f"w14_{n}"), WORKLOADS[f"w14_{n}"].difference_sql()
     for n, more in (("mset_xor", {"checksum": "mset_xor"}), ("hashed_sum", {"checksum": "hashed_sum"}), ("two_pass", {"shape": "two_pass"}), ("two_way_split", {"ways": 2, "n": 63, "t": 6}), ("toeplitz", {"solver": "toeplitz"}), ("w64", {"w": 64}), ("no_group_check", {"check_group": False})):
         q[f"bin_parity_w3_{n}"] = partial(_run_bin_parity, "w3", **more), WORKLOADS["w3"].difference_sql()
+    q["bin_parity_w256_w13"] = _wide, _wide_sql()
     for n in ("w3", "w15"):
         q[f"bin_parity_auto_{n}"] = partial(_auto, n), WORKLOADS[n].difference_sql()
     for scheme, n in (("full_exchange", "w3"), ("full_exchange", "w5"), ("full_exchange", "w9"), ("whole_syndrome", "w5"), ("grouped_syndrome", "w3"), ("cell_table", "w3"), ("filter_cells", "w4")):

@@ -158,6 +158,23 @@ def test_signed_64_bit_edges(spark):
     assert got(reconcile(*sets(spark, a, b), Params(g=1, n=63, t=8, w=64)).diff) == truth(a, b)
 
 
+@pytest.mark.parametrize("shape", ["bins", "two_pass"])
+def test_wide_signatures(spark, shape):
+    """256 bits: all four lanes come back for what only B has."""
+    lanes = lambda lo, hi: S.wide_set(spark.range(lo, hi).withColumnRenamed("id", "k"), G.row_hash256(["k"]))
+    a, b = lanes(0, 300), lanes(12, 310)
+    r = reconcile(a, b, published(22, w=256, shape=shape))
+    full = lambda d: {tuple(x) for x in d.select("sig", *S.WIDE).collect()}
+    assert full(r.b_only) == full(lanes(300, 310)) and full(r.a_only) == full(lanes(0, 12)) and full(r.union()) == full(lanes(0, 310))
+    row = r.ledger.where("kind = 'xor_sums' and round = 1").first()
+    assert row["model_bits"] == 256 * row["items"]
+
+
+def test_costs(spark):
+    c = L.spark_costs(spark, lambda: spark.range(10).count())
+    assert c["jobs"] >= 1 and c["tasks"] >= 1 and L.field_operations(2, 3, 7) == 2 * (18 + 21) and L.min_bits(3, 32) == 96
+
+
 def test_capped_rounds_report_failure(spark):
     a, b = range(1, 200), range(61, 200)
     r = reconcile(*sets(spark, a, b), Params(g=1, n=63, t=8, max_rounds=1))
