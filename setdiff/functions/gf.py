@@ -95,11 +95,26 @@ def mul32(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return out
 
 
+#: x**32 + x**7 + x**3 + x**2 + 1 as an integer.
+_MODULUS32 = (1 << 32) | 0x8D
+
+
+def _inverse32(x: int) -> int:
+    """Inverse of one element by the extended Euclidean algorithm on polynomials over GF(2)."""
+    r, s, u, v = _MODULUS32, x, 0, 1
+    while s > 1:
+        shift = r.bit_length() - s.bit_length()
+        if shift < 0:
+            r, s, u, v = s, r, v, u
+            continue
+        r ^= s << shift
+        u ^= v << shift
+        if r < s:
+            r, s, u, v = s, r, v, u
+    return v
+
+
 def inv32(a: np.ndarray) -> np.ndarray:
-    """Inverses: the power 2**32 - 2."""
+    """Inverses of non-zero elements."""
     x = np.asarray(a, np.uint64)
-    out, sq = np.ones_like(x), x
-    for _ in range(31):
-        sq = mul32(sq, sq)
-        out = mul32(out, sq)
-    return out
+    return np.array([_inverse32(k) for k in x.ravel().tolist()], np.uint64).reshape(x.shape)

@@ -8,6 +8,7 @@ is meant for small t, as in the comparison.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import cache
 
 import numpy as np
 import pandas as pd
@@ -15,7 +16,6 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from setdiff.functions import hashing as H
 from setdiff.functions.gf import inv32, mul32
 from setdiff.operators import binparity as S
 from setdiff.operators.binparity import NODE
@@ -100,6 +100,16 @@ def _div(a: np.ndarray, f: np.ndarray) -> np.ndarray:
     return q
 
 
+@cache
+def _conjugates() -> np.ndarray:
+    """(32, 32): row i has 2**i and its repeated squares."""
+    x = np.uint64(1) << np.arange(32, dtype=np.uint64)
+    out = [x]
+    for _ in range(31):
+        out.append(mul32(out[-1], out[-1]))
+    return np.stack(out, axis=1)
+
+
 def roots32(f: np.ndarray) -> np.ndarray | None:
     """All roots of a monic polynomial that is a product of different linear factors, by trace splitting; None if it isn't one."""
     n = len(f) - 1
@@ -128,10 +138,7 @@ def roots32(f: np.ndarray) -> np.ndarray | None:
         if len(f) == 2:
             return [f[:1]]
         for i in range(bit, 32):
-            betas = [np.uint64(1 << i)]
-            for _ in range(31):
-                betas.append(mul32(betas[-1], betas[-1])[()])
-            trace = np.bitwise_xor.reduce(mul32(np.array(betas)[:, None], powers), axis=0)
+            trace = np.bitwise_xor.reduce(mul32(_conjugates()[i][:, None], powers), axis=0)
             g = _gcd(f, _trim(trace))
             if 1 < len(g) < len(f):
                 h = _div(f, g)
@@ -229,7 +236,3 @@ def grouped_syndrome(a: DataFrame, b: DataFrame, p: Params, most_rounds: int = 1
             break
     return _sides(a, written(found.distinct(), "sigs")), log
 
-
-def partition_seed() -> int:
-    """Seed of the first-level hash, shared with the bin-parity scheme."""
-    return H.seed_of(H.GROUP)

@@ -107,6 +107,14 @@ def test_transition_matrix():
     assert abs(left.mean() - (M.transition_matrix(31, 6)[6] * np.arange(7)).sum()) < 0.03
 
 
+def test_model_pieces():
+    assert M.p_done(1, 1, 127) == 1 and abs(M.p_done(2, 1, 127) - (1 - 1 / 127)) < 1e-12 and M.p_done(5, 2, 255) > M.p_done(5, 1, 255)
+    assert M.alpha(1000, 200, 127, 13, 3) > M.alpha(1000, 200, 127, 13, 3, "truncated")
+    from setdiff.operators.estimate import tow_variance
+
+    assert tow_variance(10, 128) == 180 / 128
+
+
 def test_tuner_golden():
     for d, bits, n, t in GOLDEN:
         row = T.best(d)

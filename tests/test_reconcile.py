@@ -217,6 +217,24 @@ def test_relational(spark):
     assert R.semi_filter(a, b, ["sig"]).count() == 1
 
 
+def test_formats(spark, sf, tmp_path):
+    n = spark.read.parquet(f"{sf}/nation.parquet")
+    for fmt in ("parquet", "orc", "json", "csv"):
+        n.write.format(fmt).option("header", True).save(str(tmp_path / fmt))
+        back = R.read_any(spark, str(tmp_path / fmt), fmt, "n_nationkey int, n_name string, n_regionkey int", header=True)
+        assert got(R.symmetric_difference(n.select(G.identity("n_nationkey").alias("sig")), back.select(G.identity("n_nationkey").alias("sig")), ["sig"])) == set()
+
+
+def test_sql_templates(spark):
+    a = sets(spark, range(1, 200))[0]
+    a.createOrReplaceTempView("one_shot")
+    p = published(20, family="portable")
+    t = P.one_shot_sql("one_shot", p)
+    keyed = a.withColumn("root", S.root_of(p)).withColumn("bin", S.bin_of(p, 1))
+    assert set(spark.sql(t["parity_bins"]).collect()) == set(S.parity_bins(keyed, ["root"]).collect())
+    assert spark.sql(t["checksums"]).count() == keyed.select("root").distinct().count() and spark.sql(t["bin_table"]).count() == keyed.select("root", "bin").distinct().count()
+
+
 def test_sketch_store_round_trip(spark, tmp_path):
     a = sets(spark, range(1, 50))[0]
     sk = S.encode(S.with_node(S.with_inst(a), published(5), None, 0).withColumn("bin", S.bin_of(published(5), 1)), S.NODE, 7, 13)
