@@ -70,16 +70,17 @@ def run_scheme(scheme: str, a: DataFrame, b: DataFrame, truth: DataFrame, d: int
         bits = (p.g * count + later) * (p.t * w + w) / count
         rounds = log.groupBy("inst").agg(F.max("round").alias("r")).agg(F.avg("r")).first()[0]
     elif scheme == "cell_table":
-        k = C.hashes_for(want)
-        cells = C.cells_for(want, k)
+        k = C.hashes_for(d)  # two cells for each of the estimated differences, without the safety factor
+        cells = C.cells_for(d, k)
         enc = _ms(lambda: [_noop(C.cell_table(x, cells, k)) for x in (a, b)])
         held = []
-        whole = _ms(lambda: held.append(written(C.cell_digest(a, b, want, grouped=True), "cells")))
+        whole = _ms(lambda: held.append(written(C.cell_digest(a, b, d, grouped=True), "cells")))
         success, bits = _exact(held[0], truth, count), cells * 3 * w
     elif scheme == "filter_cells":
         size_b = size - d
         enc_parts: list = []
         held = []
+        want = d
         rate = C.best_rate(size_b, want)
         if rate < 1:
             bits_f, fk = C.filter_shape(size_b, rate)
@@ -111,6 +112,35 @@ def compare(spark: SparkSession, sf_dir: str, schemes: tuple[str, ...], ds: tupl
     return spark.createDataFrame(rows, METRICS)
 
 
+def decode_growth(spark: SparkSession, ds: tuple[int, ...] = (50, 100, 200, 400, 800)) -> DataFrame:
+    """(scheme, d, decode_ms): decoding alone, in one process, without any engine around it: how each scheme grows with d."""
+    schema = "scheme string, d long, decode_ms double"
+
+    def run(parts):
+        from setdiff.functions.gf import mul32, packed_table
+        from setdiff.operators import decode as D
+
+        for part in parts:
+            for d in part["d"]:
+                d = int(d)
+                rng = np.random.default_rng(d)
+                sig = rng.choice(2**32 - 1, d, replace=False).astype(np.uint64) + np.uint64(1)
+                table, g = packed_table(7, 13), groups_for(d)
+                lanes = np.zeros((g, len(table)), np.int64)
+                for root, b in zip(rng.integers(0, g, d).tolist(), rng.integers(0, 127, d).tolist(), strict=True):
+                    lanes[root] ^= table[:, b]
+                D.decode(lanes, 7, 13)
+                rows = [("bin_parity", d, _ms(lambda: D.decode(lanes, 7, 13)))]  # noqa: B023
+                odd, p, sq = [], sig, mul32(sig, sig)
+                for _ in range(ceil(E.GAMMA * d)):
+                    odd.append(np.bitwise_xor.reduce(p))
+                    p = mul32(p, sq)
+                rows.append(("whole_syndrome", d, _ms(lambda: Y.decode32(np.array(odd)))))  # noqa: B023
+                yield pd.DataFrame(rows, columns=["scheme", "d", "decode_ms"])
+
+    return spark.createDataFrame([(d,) for d in ds], "d long").repartition(len(ds), "d").mapInPandas(run, schema)
+
+
 def signature_lengths(spark: SparkSession, d: int = 1000, p0: float = 0.99) -> DataFrame:
     """(w, scheme, ratio): what longer signatures do to each scheme, by the formulas of the ledger."""
     p = T.tuned(E.GAMMA * d, 5, 3, p0)

@@ -414,6 +414,7 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["f2_users"] = _f2, None
     q["share_by_round_w3"] = _rounds, None
     q["x1_whole_and_cells"] = (lambda s, d: X.compare(s, d, ("bin_parity", "whole_syndrome", "cell_table"), (10, 30))), None
+    q["x1_decode_growth"] = (lambda s, d: X.decode_growth(s)), None
     q["x2_filter_cells"] = (lambda s, d: X.compare(s, d, ("bin_parity", "filter_cells"), (10, 100), p0=239 / 240)), None
     q["x3_grouped_syndrome"] = (lambda s, d: X.compare(s, d, ("bin_parity", "grouped_syndrome"), (30,), count=10)), None
     q["x4_signature_lengths"] = (lambda s, d: X.signature_lengths(s)), None

@@ -49,5 +49,7 @@ def test_experiments_order_schemes(spark, sf):
     assert abs(kinds["ideal"] - 0.9613) < 0.005 and abs(kinds["even"] - 0.0385) < 0.005
     used = {r["d"]: r["filter_used"] for r in X.filter_use(spark).collect()}
     assert not used[10_000] and used[16_000]
+    ms = {(r["scheme"], r["d"]): r["decode_ms"] for r in X.decode_growth(spark, (50, 400)).collect()}
+    assert ms["whole_syndrome", 400] > 4 * ms["bin_parity", 400] and ms["whole_syndrome", 400] > 10 * ms["whole_syndrome", 50]
     rows = {r["scheme"]: r for r in X.compare(spark, sf, ("bin_parity", "cell_table"), (20,), count=10, size=300).collect()}
     assert rows["bin_parity"]["ratio"] < 3 and rows["bin_parity"]["success"] >= 0.9 and rows["cell_table"]["ratio"] > 5
