@@ -11,8 +11,8 @@ A window that shares no shingle with an item has similarity zero, so windows are
 some item of that size occurs; this drops no result, and keeps the pass over the text at a few operations a word.
 
 The benchmark is the small side: it is taken in blocks of ``BLOCK_ITEMS`` items, one pass over the documents each.
-Null and empty texts match nothing; an item without words matches nothing; repeated rows and items give rows of their
-own; further columns are left alone; an empty table on either side gives no rows.
+Null and empty texts match nothing; an item without words matches nothing; repeated rows give rows of their own, a repeated
+item counts once; further columns are left alone; an empty table on either side gives no rows.
 """
 
 from __future__ import annotations
@@ -159,7 +159,7 @@ def _index(items: list[tuple[int, str | None]]) -> ItemIndex:
 
 def _blocks(benchmark: DataFrame) -> Iterator[list[tuple[int, str | None]]]:
     """The items in blocks of about BLOCK_ITEMS, each small enough for the driver."""
-    rows = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text"))
+    rows = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).distinct()
     parts = -(-rows.count() // BLOCK_ITEMS)
     for p in range(parts):
         yield sorted(((r["item_id"], r["text"]) for r in rows.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(parts)) == p).collect()), key=repr)

@@ -101,7 +101,7 @@ class LanguageCodes:
         return self.langs[i], float(p[i] / p.sum()), near < self.gap
 
 
-def fit(docs: DataFrame, train: Column, per_language: int = 3000, most_languages: int = 1000) -> LanguageCodes:
+def fit(docs: DataFrame, train: Column, per_language: int = 3000, most_languages: int = 200) -> LanguageCodes:
     """Learns from rows of ``docs`` where ``train`` holds and text and lang are not null.
 
     At most about ``per_language`` rows of each language are used, picked by a hash of the id. More than ``most_languages``
