@@ -155,6 +155,8 @@ def reconcile(a: DataFrame, b: DataFrame, p: Params) -> Reconciliation:
     difference: groups still open after SAFETY_ROUNDS are exchanged in full.
     """
     a, b = S.with_inst(a), S.with_inst(b)
+    if p.sidecar:
+        a, b = written(a, "side_a"), written(b, "side_b")
     shape = choose_shape(p, a.count() + b.count() if p.shape == "auto" else 0)
     steps = []
     for step in reconcile_iter(a, b, p, shape):

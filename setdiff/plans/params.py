@@ -8,7 +8,10 @@ from math import ceil
 
 @dataclass(frozen=True)
 class Params:
-    """g groups, n = 2**m - 1 bins a group, capacity t; the rest as in the paper's evaluation unless said otherwise."""
+    """g groups, n = 2**m - 1 bins a group, capacity t; the rest as in the paper's evaluation unless said otherwise.
+
+    With ``sidecar`` the signatures are written out once and every round reads those instead of working them out again.
+    """
 
     g: int
     n: int = 127
@@ -24,6 +27,7 @@ class Params:
     checksum: str = "sum"
     shape: str = "auto"
     solver: str = "bm"
+    sidecar: bool = True
 
     @property
     def m(self) -> int:

@@ -15,6 +15,7 @@ from setdiff.operators.rounds import Reconciliation, choose_shape, reconcile
 from setdiff.plans import model as M
 from setdiff.plans import tune as T
 from setdiff.plans.params import Params
+from setdiff.session import written
 
 #: Differences up to which the whole-set code may be chosen: decoding takes their square.
 WHOLE_MOST = 200
@@ -62,6 +63,7 @@ def reconcile_auto(a: DataFrame, b: DataFrame, p0: float = 0.99, r: int = 3, del
 
     An estimate of zero is still checked by one round. Where the sets are far apart they are exchanged in full.
     """
+    a, b = written(a, "side_a"), written(b, "side_b")
     d_hat = estimate_d(a, b).first()
     d_hat = d_hat["d_hat"] if d_hat else 0.0
     sizes = a.count(), b.count()
@@ -70,7 +72,7 @@ def reconcile_auto(a: DataFrame, b: DataFrame, p0: float = 0.99, r: int = 3, del
     if choice.scheme == "full_exchange":
         return full_exchange(a, b), report
     p = T.tuned(max(1.0, GAMMA * d_hat), delta, r, p0, max_rounds=r if capped else None, **more)
-    got: Reconciliation = reconcile(a, b, p.with_(shape=choice.shape or "auto"))
+    got: Reconciliation = reconcile(a, b, p.with_(shape=choice.shape or "auto", sidecar=False))
     return got.diff.select("sig", "side"), report | {"params": p, "run": got}
 
 
