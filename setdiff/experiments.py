@@ -101,14 +101,14 @@ def run_scheme(scheme: str, a: DataFrame, b: DataFrame, truth: DataFrame, d: int
     return scheme, d, count, success, bits / 8, bits / (d * w), enc, max(0.0, whole - enc), float(rounds or 0)
 
 
-def compare(spark: SparkSession, sf_dir: str, schemes: tuple[str, ...], ds: tuple[int, ...], count: int = 20, size: int = 1000, p0: float = 0.99, gamma: float = E.GAMMA) -> DataFrame:
+def compare(spark: SparkSession, sf_dir: str, schemes: tuple[str, ...], ds: tuple[int, ...], count: int = 20, size: int | None = None, p0: float = 0.99, gamma: float = E.GAMMA) -> DataFrame:
     """Metrics of schemes over a grid of d; the setting of all three comparisons."""
     rows = []
     for d in ds:
-        a, b = instances(spark, sf_dir, count, size, d)
+        a, b, n = instances(spark, sf_dir, count, d, size)
         a, b = written(a, "a"), written(b, "b")
         truth = written(a.join(b, ["inst", "sig"], "left_anti"), "truth")
-        rows += [run_scheme(s, a, b, truth, d, count, size, p0, gamma=gamma) for s in schemes]
+        rows += [run_scheme(s, a, b, truth, d, count, n, p0, gamma=gamma) for s in schemes]
     return spark.createDataFrame(rows, METRICS)
 
 
@@ -154,9 +154,9 @@ def signature_lengths(spark: SparkSession, d: int = 1000, p0: float = 0.99) -> D
     return spark.createDataFrame(rows, "w int, scheme string, ratio double")
 
 
-def delta_sweep(spark: SparkSession, sf_dir: str, deltas: tuple[int, ...] = (2, 5, 10, 20), d: int = 100, count: int = 10, size: int = 1000) -> DataFrame:
+def delta_sweep(spark: SparkSession, sf_dir: str, deltas: tuple[int, ...] = (2, 5, 10, 20), d: int = 100, count: int = 10, size: int | None = None) -> DataFrame:
     """(delta, n, t, model_bits, ratio, dec_ms): larger groups cost fewer bits and more decoding."""
-    a, b = instances(spark, sf_dir, count, size, d)
+    a, b, size = instances(spark, sf_dir, count, d, size)
     a, b = written(a, "a"), written(b, "b")
     truth, rows = written(a.join(b, ["inst", "sig"], "left_anti"), "truth"), []
     for delta in deltas:
@@ -166,11 +166,11 @@ def delta_sweep(spark: SparkSession, sf_dir: str, deltas: tuple[int, ...] = (2,
     return spark.createDataFrame(rows, "delta int, n int, t int, model_bits double, ratio double, dec_ms double")
 
 
-def measured_shares(spark: SparkSession, sf_dir: str, d: int = 100, count: int = 20, size: int = 1000) -> DataFrame:
+def measured_shares(spark: SparkSession, sf_dir: str, d: int = 100, count: int = 20, size: int | None = None) -> DataFrame:
     """(round, measured, expected): share of the differences recovered in each round at n = 127, t = 13."""
     from setdiff.operators.rounds import share_by_round
 
-    a, b = instances(spark, sf_dir, count, size, d)
+    a, b, _ = instances(spark, sf_dir, count, d, size)
     got = {r["round"]: r["n"] for r in share_by_round(reconcile(a, b, published(d))).collect()}
     want = M.expected_shares(127, 13, d, groups_for(d), 4)
     return spark.createDataFrame([(k, got.get(k, 0) / (d * count), want[k - 1]) for k in range(1, 5)], "round int, measured double, expected double")
@@ -201,9 +201,9 @@ def bin_kinds(spark: SparkSession, trials: int = 100_000, d: int = 5, n: int = 2
     return shares.selectExpr("stack(3, 'ideal', ideal, 'even', even, 'odd', odd) as (kind, share)")
 
 
-def fake_candidates(spark: SparkSession, sf_dir: str, d: int = 150, count: int = 20, size: int = 1000) -> DataFrame:
+def fake_candidates(spark: SparkSession, sf_dir: str, d: int = 150, count: int = 20, size: int | None = None) -> DataFrame:
     """(check, proposed, fakes_left): what the test of a candidate against its bin removes in the first round."""
-    a, b = instances(spark, sf_dir, count, size, d)
+    a, b, size = instances(spark, sf_dir, count, d, size)
     a, b = written(a, "a"), written(b, "b")
     truth, rows = written(a.join(b, ["inst", "sig"], "left_anti"), "truth"), []
     p = Params(g=groups_for(d, 10), n=63, t=17, max_rounds=1)

@@ -313,13 +313,14 @@ def _asof(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _interval(spark: SparkSession, sf: str) -> DataFrame:
-    e = table(spark, sf, "events").select("user_id", "ts", "event_id")
-    got = R.interval_match(e.where("event_id % 7 = 0"), e.where("event_id % 11 = 0"), "user_id", "ts", 3600)
+    """Views with a purchase of the same user within an hour, over all events."""
+    e = table(spark, sf, "events").select("user_id", "ts", "event_type")
+    got = R.interval_match(e.where("event_type = 'view'"), e.where("event_type = 'purchase'"), "user_id", "ts", 3600)
     return got.groupBy("user_id").agg(F.count(F.lit(1)).alias("n"))
 
 
 _INTERVAL_SQL = (
-    "select a.user_id, count(*) as n from events a join events b on a.user_id = b.user_id and a.event_id % 7 = 0 and b.event_id % 11 = 0 "
+    "select a.user_id, count(*) as n from events a join events b on a.user_id = b.user_id and a.event_type = 'view' and b.event_type = 'purchase' "
     "and abs(epoch_us(a.ts) - epoch_us(b.ts)) <= 3600000000 group by 1"
 )
 

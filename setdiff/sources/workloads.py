@@ -187,19 +187,23 @@ WORKLOADS: dict[str, Workload] = {
 }
 
 
-def instances(spark: SparkSession, sf_dir: str, count: int, size: int, d: int) -> tuple[DataFrame, DataFrame]:
-    """(inst, sig) for ``count`` independent pairs: every instance takes its own ``size`` order keys and drops its own d of them.
+def instances(spark: SparkSession, sf_dir: str, count: int, d: int, size: int | None = None) -> tuple[DataFrame, DataFrame, int]:
+    """(inst, sig) for ``count`` independent pairs, and the signatures of one: every instance hashes all order keys anew and drops its own d of them.
 
-    All instances run in one job. A row's rank inside an instance is by hash; instances are spread, so no task ranks more than one of them.
+    All instances run in one job. The d that an instance drops come first by hash: a limit by rank, cut inside each task before the shuffle, so no
+    task ranks a whole instance. ``size`` takes the least keys only, for small batches; without it the whole table is taken.
     """
     from pyspark.sql import Window
 
-    keys = table(spark, sf_dir, "orders").select(G.mix32("o_orderkey").alias("sig")).orderBy("sig").limit(size)
+    keys = table(spark, sf_dir, "orders").select(G.mix32("o_orderkey").alias("sig"))
+    keys = keys.orderBy("sig").limit(size) if size else keys
     rows = keys.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(count - 1).cast("long"))).alias("inst"), "sig")
     sig = F.pmod(F.xxhash64("sig", "inst"), F.lit((1 << 32) - 1)) + 1
     rows = rows.select("inst", sig.cast("long").alias("sig")).distinct()
     place = F.row_number().over(Window.partitionBy("inst").orderBy(F.xxhash64("sig", F.lit(5)), "sig"))
-    return rows, rows.withColumn("_r", place).where(F.col("_r") > d).select("inst", "sig")
+    gone = rows.withColumn("_r", place).where(F.col("_r") <= d).select("inst", "sig")
+    kept = rows.join(F.broadcast(gone) if count * d <= 1_000_000 else gone, ["inst", "sig"], "left_anti")
+    return rows, kept, size or keys.count()
 
 
 def uniform(spark: SparkSession, size: int, d: int) -> tuple[DataFrame, DataFrame]:

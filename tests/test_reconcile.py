@@ -107,7 +107,7 @@ def test_bitmap_equals_decoder(spark):
 
 
 def test_many_instances_and_ledger(spark, sf):
-    a, b = instances(spark, sf, 12, 200, 20)
+    a, b, _ = instances(spark, sf, 12, 20, 200)
     p = published(20)
     r = reconcile(a, b, p)
     want = {(x["inst"], x["sig"]) for x in a.join(b, ["inst", "sig"], "left_anti").collect()}
@@ -121,7 +121,7 @@ def test_many_instances_and_ledger(spark, sf):
 
 
 def test_success_rate_of_tuned_runs(spark, sf):
-    a, b = instances(spark, sf, 150, 150, 30)
+    a, b, _ = instances(spark, sf, 150, 30, 150)
     r = reconcile(a, b, T.tuned(30))
     assert r.status().agg(F.avg(F.col("success").cast("double"))).first()[0] >= 0.96
 
