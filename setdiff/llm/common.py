@@ -60,6 +60,11 @@ def keep(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def stowed(docs: DataFrame) -> DataFrame:
+    """(_row): every row as one struct, so that no column of its own can clash with those an operator adds; ``select("_row.*")`` brings them back."""
+    return docs.select(F.struct(*[F.col("`" + c.replace("`", "``") + "`") for c in docs.columns]).alias("_row"))
+
+
 def small(batches: Iterable, rows: int = 512) -> Iterator:
     """The batches in slices of a few rows, so that a Python worker holds few texts at a time."""
     for b in batches:

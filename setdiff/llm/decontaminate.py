@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small
+from .common import small, stowed
 
 SHINGLE, BLOCKS, WITHIN = 5, 4, 3
 #: Every fingerprint within this many bits is found: some block then differs in WITHIN bits at most.
@@ -185,15 +185,15 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, similarity: float = 0.8) -
 
 
 def drop_leaks(docs: DataFrame, benchmark: DataFrame, similarity: float = 0.8) -> DataFrame:
-    """The rows of ``docs`` in which no item is found; all columns are kept as they are."""
-    out = docs
+    """The rows of ``docs`` in which no item is found; all columns are kept as they are, whatever their names."""
+    out = stowed(docs).withColumn("text", F.col("_row.text").cast("string"))
     for items in _blocks(benchmark):
 
         def run(batches: Iterator[pa.RecordBatch], items=items) -> Iterator[pa.RecordBatch]:
             index = _index(items)
             for b in small(batches):
-                clean = [not index.find(t, similarity) for t in b.column("_text").to_pylist()]
-                yield b.drop_columns(["_text"]).filter(pa.array(clean, pa.bool_()))
+                clean = [not index.find(t, similarity) for t in b.column("text").to_pylist()]
+                yield b.filter(pa.array(clean, pa.bool_()))
 
-        out = out.withColumn("_text", F.col("text").cast("string")).mapInArrow(run, docs.schema)
-    return out
+        out = out.mapInArrow(run, out.schema)
+    return out.select("_row.*")

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, keep, small
+from .common import bounded_broadcast, keep, small, stowed
 from .components import connected
 
 SEED, WIDTH = 42, 64
@@ -263,7 +263,7 @@ def near_duplicates(docs: DataFrame, size: int = 4, radius: int = 4) -> DataFram
 
 
 def keep_one(docs: DataFrame, size: int = 4, radius: int = 4) -> DataFrame:
-    """The rows of ``docs`` whose document names its group; rows with a null id stay. Columns are kept."""
+    """The rows of ``docs`` whose document names its group; rows with a null id stay. Columns are kept, whatever their names."""
     groups = near_duplicates(docs, size, radius)
     gone = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone"))
-    return docs.join(gone, docs["doc_id"] == F.col("_gone"), "left_anti")
+    return stowed(docs).join(gone, F.col("_row.doc_id") == F.col("_gone"), "left_anti").select("_row.*")

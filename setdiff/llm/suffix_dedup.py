@@ -33,7 +33,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep, small
+from .common import keep, small, stowed
 
 LENGTH, GRAM = 400, 64
 #: Texts that may share a gram and still be compared in one task.
@@ -467,40 +467,32 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
 def clean_documents(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT) -> DataFrame:
     """``docs`` with every repeated string cut out of its text, at whole characters, and n_chars set anew; rows left without text are dropped.
 
-    All columns are kept; rows with a null text pass.
+    All columns are kept, whatever their names; rows with a null text pass.
     """
     spans, copies = repeat_spans(docs, length, gram, hot)
     everything = copies.select("t1", "t2", F.lit(True).alias("_all"), F.lit(None).cast("array<struct<a:bigint,b:bigint>>").alias("_gone"))
     some = spans.join(copies, ["t1", "t2"], "left_anti").select("t1", "t2", F.lit(False).alias("_all"), F.col("stretches").alias("_gone"))
     marks = keep(everything.union(some), "marks")
-    joined = _keys(docs).join(marks, ["t1", "t2"], "left").where("not coalesce(_all, false)")
-    joined = joined.select(*[F.col(c) for c in docs.columns if c != "text"], "text", F.col("_gone.a").alias("_a"), F.col("_gone.b").alias("_b"))
-
-    names = docs.columns
+    rows = _keys(stowed(docs).withColumn("text", F.col("_row.text").cast("string")))
+    joined = rows.join(marks, ["t1", "t2"], "left").where("not coalesce(_all, false)").select("_row", "text", F.col("_gone.a").alias("_a"), F.col("_gone.b").alias("_b"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
             texts, stay = [], []
             for text, begin, end in zip(*(b.column(c).to_pylist() for c in ("text", "_a", "_b")), strict=True):
+                new = None
                 if begin:
                     raw, left, at = text.encode("utf-8", "surrogatepass"), [], 0
                     for x, y in at_characters(raw, join_stretches(list(zip(begin, end, strict=True)))):
                         left.append(raw[at:x])
                         at = y
-                    text = b"".join([*left, raw[at:]]).decode("utf-8", "replace")
-                    stay.append(bool(text.strip()))
-                else:
-                    stay.append(True)
-                texts.append(text)
-            out = []
-            for name in names:
-                if name == "text":
-                    out.append(pa.array(texts, pa.string()))
-                elif name == "n_chars":
-                    lens = [n if not a else len(t) for n, a, t in zip(b.column("n_chars").to_pylist(), b.column("_a").to_pylist(), texts, strict=True)]
-                    out.append(pa.array(lens, b.column("n_chars").type))
-                else:
-                    out.append(b.column(name))
-            yield pa.RecordBatch.from_arrays(out, names).filter(pa.array(stay, pa.bool_()))
-
-    return joined.mapInArrow(run, docs.schema)
+                    new = b"".join([*left, raw[at:]]).decode("utf-8", "replace")
+                texts.append(new)
+                stay.append(new is None or bool(new.strip()))
+            yield pa.RecordBatch.from_arrays([b.column("_row"), pa.array(texts, pa.string())], ["_row", "_new"]).filter(pa.array(stay, pa.bool_()))
+
+    whole = rows.select("_row", F.lit(None).cast("string").alias("_new")).schema
+    new = {"text": F.col("_new"), "n_chars": F.length("_new")}
+    old = lambda f: F.col("_row").getField(f.name)
+    cols = [(F.when(F.col("_new").isNull(), old(f)).otherwise(new[f.name].cast(f.dataType)) if f.name in new else old(f)).alias(f.name) for f in docs.schema.fields]
+    return joined.mapInArrow(run, whole).select(*cols)

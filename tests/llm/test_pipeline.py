@@ -2,6 +2,8 @@
 
 import random
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline as cp
 
 
@@ -35,6 +37,24 @@ def test_whole_run(spark, sf):
     assert left.count() == left.select("doc_id").distinct().count()
 
 
+def test_clashing_columns_stay(spark, sf, docs):
+    """Columns that bear the names of the stages' own come out as they went in."""
+    names = ["_text", "_gone", "_row", "_a", "_all", "_new", "t1", "t2", "raw", "fp", "component_id", "lang_pred", "lang_ambiguous", "text_crc32", "a.b"]
+    rows = spark.read.parquet(f"{sf}/documents.parquet")
+    item = spark.read.parquet(f"{sf}/benchmark.parquet").where("item_id = 3").first()["text"]
+    extra = rows.schema.names
+    given = rows.union(docs((9001, "before " + item + " after"), (9002, None)).select(*extra))
+    for n in names:
+        given = given.withColumn(n, F.concat(F.lit(n), F.col("doc_id").cast("string")))
+    for name, stage in cp.STAGES[:-1]:
+        left = cp.keep(stage(spark, given, sf), name)
+        assert left.columns == given.columns and left.schema.simpleString() == given.schema.simpleString()
+        assert 0 < left.count() <= given.count()
+        wrong = [F.col(f"`{n}`") != F.concat(F.lit(n), F.col("doc_id").cast("string")) for n in names]
+        assert left.where(F.array_contains(F.array(*wrong), True)).count() == 0
+    assert cp.STAGES[-1][1](spark, given, sf).count() == given.count()
+
+
 def test_registered():
     import __spark_entry__ as e
 
