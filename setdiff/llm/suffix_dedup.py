@@ -18,6 +18,9 @@ Skew. Copies of a whole text are one text throughout (grouped by a 128-bit hash
 segments of one task are settled there, one of them goes on. A gram in more than ``HOT`` texts is never gathered: its windows are
 compared by 128-bit hash in a combined count and a join that adaptive execution can split; no window is dropped.
 
+Word windows, on demand: so many words that repeat go too, however few bytes they take. Every word of a text becomes four bytes (its CRC-32), and the
+same search runs over those; stretches are drawn in to whole words, and whatever stands between them goes with them.
+
 Matches never cross documents; texts are bytes; null is empty; texts shorter than LENGTH repeat nothing. Repeated rows and ids are rows of their own: copies of
 a text of LENGTH bytes or more go entirely. An empty table gives no rows.
 """
@@ -25,7 +28,9 @@ a text of LENGTH bytes or more go entirely. An empty table gives no rows.
 from __future__ import annotations
 
 import hashlib
+import re
 from collections.abc import Iterator
+from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -36,6 +41,9 @@ from pyspark.sql import functions as F
 from .common import keep, small, stowed
 
 LENGTH, GRAM = 400, 64
+#: Bytes that stand for a word.
+CODE = 4
+_WORD = re.compile(rb"[^ \t\n\r\x0b\x0c]+")
 #: Texts that may share a gram and still be compared in one task.
 HOT = 512
 #: Bytes of segments that a task sorts into one set of runs; bytes of segments that a merge takes.
@@ -398,6 +406,25 @@ def at_characters(raw: bytes, spans: list[tuple[int, int]]) -> list[tuple[int, i
     return out
 
 
+def word_codes(texts: DataFrame, words: int) -> DataFrame:
+    """(t1, t2, raw): the words of every text of ``words`` words or more, CODE bytes each."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in small(batches):
+            codes = [np.fromiter(map(crc32, _WORD.findall(raw)), "<u4").tobytes() for raw in b.column("raw").to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column("t1"), b.column("t2"), pa.array(codes, pa.binary())], ["t1", "t2", "raw"])
+
+    return texts.mapInArrow(run, "t1 long, t2 long, raw binary").where(F.octet_length("raw") >= CODE * words)
+
+
+def word_spans(raw: bytes, found: list[tuple[int, int]], words: int) -> list[tuple[int, int]]:
+    """The bytes of those stretches of word codes that hold ``words`` whole words or more."""
+    whole = [(-(-a // CODE), b // CODE) for a, b in join_stretches(found)]
+    whole = [(i, j) for i, j in whole if j - i >= words]
+    at = [m.span() for m in _WORD.finditer(raw)] if whole else []
+    return [(at[i][0], at[j - 1][1]) for i, j in whole]
+
+
 def _keys(docs: DataFrame) -> DataFrame:
     """``docs`` with its text as bytes and the two halves of its text's key."""
     raw = F.coalesce(F.col("text").cast("binary"), F.lit(b""))
@@ -464,29 +491,39 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     return out.select(*cols)
 
 
-def clean_documents(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT) -> DataFrame:
+def clean_documents(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT, words: int | None = None) -> DataFrame:
     """``docs`` with every repeated string cut out of its text, at whole characters, and n_chars set anew; rows left without text are dropped.
 
-    All columns are kept, whatever their names; rows with a null text pass.
+    With ``words``, strings of so many words that repeat are cut out as well. All columns are kept, whatever their names; rows with a null text pass.
     """
     spans, copies = repeat_spans(docs, length, gram, hot)
-    everything = copies.select("t1", "t2", F.lit(True).alias("_all"), F.lit(None).cast("array<struct<a:bigint,b:bigint>>").alias("_gone"))
-    some = spans.join(copies, ["t1", "t2"], "left_anti").select("t1", "t2", F.lit(False).alias("_all"), F.col("stretches").alias("_gone"))
+    spans = spans.select("t1", "t2", F.col("stretches").alias("_gone"), F.lit(None).cast("array<struct<a:bigint,b:bigint>>").alias("_words"))
+    if words:
+        codes = keep(word_codes(_keys(docs.select("text")).select("t1", "t2", "raw"), words), "codes")
+        found = keep(repeated_stretches(codes, CODE * words, gram, hot), "stretches")
+        by_words = found.groupBy("t1", "t2").agg(F.collect_set(F.struct("a", "b")).alias("_words"))
+        spans = spans.drop("_words").join(by_words, ["t1", "t2"], "full")
+        copies = copies.union(codes.groupBy("t1", "t2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("t1", "t2")).distinct()
+    nothing = [F.lit(None).cast("array<struct<a:bigint,b:bigint>>").alias(c) for c in ("_gone", "_words")]
+    everything = copies.select("t1", "t2", F.lit(True).alias("_all"), *nothing)
+    some = spans.join(copies, ["t1", "t2"], "left_anti").select("t1", "t2", F.lit(False).alias("_all"), "_gone", "_words")
     marks = keep(everything.union(some), "marks")
     rows = _keys(stowed(docs).withColumn("text", F.col("_row.text").cast("string")))
-    joined = rows.join(marks, ["t1", "t2"], "left").where("not coalesce(_all, false)").select("_row", "text", F.col("_gone.a").alias("_a"), F.col("_gone.b").alias("_b"))
+    joined = rows.join(marks, ["t1", "t2"], "left").where("not coalesce(_all, false)")
+    joined = joined.select("_row", "text", *[F.col(f"{c}.{x}").alias(f"{c}_{x}") for c in ("_gone", "_words") for x in "ab"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
             texts, stay = [], []
-            for text, begin, end in zip(*(b.column(c).to_pylist() for c in ("text", "_a", "_b")), strict=True):
+            for text, a, z, wa, wz in zip(*(b.column(c).to_pylist() for c in ("text", "_gone_a", "_gone_b", "_words_a", "_words_b")), strict=True):
                 new = None
-                if begin:
+                if a or wa:
                     raw, left, at = text.encode("utf-8", "surrogatepass"), [], 0
-                    for x, y in at_characters(raw, join_stretches(list(zip(begin, end, strict=True)))):
+                    gone = list(zip(a or (), z or (), strict=True)) + (word_spans(raw, list(zip(wa, wz, strict=True)), words) if wa else [])
+                    for x, y in at_characters(raw, join_stretches(gone)):
                         left.append(raw[at:x])
                         at = y
-                    new = b"".join([*left, raw[at:]]).decode("utf-8", "replace")
+                    new = b"".join([*left, raw[at:]]).decode("utf-8", "replace") if at else None
                 texts.append(new)
                 stay.append(new is None or bool(new.strip()))
             yield pa.RecordBatch.from_arrays([b.column("_row"), pa.array(texts, pa.string())], ["_row", "_new"]).filter(pa.array(stay, pa.bool_()))
