@@ -31,7 +31,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small
+from .common import lean, small
 
 #: Characters of text that are encoded together, and pre-tokens that a worker remembers between batches.
 TOGETHER, REMEMBERED = 8 << 20, 300_000
@@ -277,6 +277,12 @@ def encoder(path: str, pattern: str) -> Encoder:
     return _ENCODERS[path, pattern]
 
 
+def forget_encoders() -> None:
+    """Drops the pre-tokens that this process's encoders remember; the vocabularies (15 MB each) stay."""
+    for e in _ENCODERS.values():
+        e.forget()
+
+
 def encode_documents(docs: DataFrame, path: str, pattern: str, with_ids: bool = True) -> DataFrame:
     """Per row: doc_id, n_tokens, ids_sha256, decoded_sha256 and, unless left out, the ids.
 
@@ -312,4 +318,4 @@ def encode_documents(docs: DataFrame, path: str, pattern: str, with_ids: bool =
                 done.clear()
 
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, schema)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(lean(run, forget_encoders), schema)

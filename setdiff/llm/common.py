@@ -3,11 +3,15 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import functools
+import gc
 import shutil
 import tempfile
 import uuid
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -72,6 +76,33 @@ def small(batches: Iterable, rows: int = 512) -> Iterator:
             yield b.slice(at, rows)
 
 
+def give_back() -> None:
+    """Returns memory that this process no longer uses to the system: garbage, Arrow's pool, the C heap."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+    if trim:
+        trim(0)
+
+
+def lean(run: Callable[[Iterator], Iterator], *forget: Callable[[], object]) -> Callable[[Iterator], Iterator]:
+    """``run`` as a task that leaves nothing behind in the worker, which Spark uses again for the tasks of other operators.
+
+    ``forget`` drop what the module keeps for the process; they run when the task ends, fails or is given up.
+    """
+
+    @functools.wraps(run)
+    def task(batches: Iterator) -> Iterator:
+        try:
+            yield from run(batches)
+        finally:
+            for f in forget:
+                f()
+            give_back()
+
+    return task
+
+
 def id_crc_mod(column: str, n: int) -> Column:
     """crc32 of the id as decimal text, modulo ``n``; null for a null id."""
     return F.crc32(F.col(column).cast("string")) % n

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small, stowed
+from .common import lean, small, stowed
 
 SHINGLE, BLOCKS, WITHIN = 5, 4, 3
 #: Every fingerprint within this many bits is found: some block then differs in WITHIN bits at most.
@@ -157,6 +157,11 @@ def _index(items: list[tuple[int, str | None]]) -> ItemIndex:
     return _HELD[0][1]
 
 
+def forget_index() -> None:
+    """Drops the index of this process."""
+    _HELD.clear()
+
+
 def _blocks(benchmark: DataFrame) -> Iterator[list[tuple[int, str | None]]]:
     """The items in blocks of about BLOCK_ITEMS, each small enough for the driver."""
     rows = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).distinct()
@@ -179,7 +184,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, similarity: float = 0.8) -
                 kinds = [pa.int64(), pa.int64(), pa.float64(), pa.int32(), pa.int64(), pa.int64()]
                 yield pa.RecordBatch.from_arrays([pa.array([g[i] for g in got], k) for i, k in enumerate(kinds)], [x.split()[0] for x in schema.split(", ")])
 
-        found = rows.mapInArrow(run, schema)
+        found = rows.mapInArrow(lean(run, forget_index), schema)
         out = found if out is None else out.union(found)
     return docs.sparkSession.createDataFrame([], schema) if out is None else out
 
@@ -195,5 +200,5 @@ def drop_leaks(docs: DataFrame, benchmark: DataFrame, similarity: float = 0.8) -
                 clean = [not index.find(t, similarity) for t in b.column("text").to_pylist()]
                 yield b.filter(pa.array(clean, pa.bool_()))
 
-        out = out.mapInArrow(run, out.schema)
+        out = out.mapInArrow(lean(run, forget_index), out.schema)
     return out.select("_row.*")

@@ -25,7 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import WORD_SPACE, small
+from .common import WORD_SPACE, lean, small
 
 #: Fixed values of the rules.
 SYMBOLS = b"#*$%&|<>"
@@ -127,4 +127,4 @@ def clean_lines(docs: DataFrame, with_text: bool = True) -> DataFrame:
             yield pa.RecordBatch.from_arrays(cols, ["doc_id", *names, *["clean_text"] * with_text])
 
     schema = "doc_id long, " + ", ".join(f"{n} {t}" for n, t in FIELDS) + ", clean_text string" * with_text
-    return docs.selectExpr("cast(doc_id as long) doc_id", "cast(text as string) text").mapInArrow(run, schema)
+    return docs.selectExpr("cast(doc_id as long) doc_id", "cast(text as string) text").mapInArrow(lean(run), schema)

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import small
+from .common import lean, small
 from .line_rules import repeated_words
 
 _CLASS = np.full(256, 2, np.uint8)
@@ -135,7 +135,7 @@ def fit(docs: DataFrame, labels: DataFrame, train: Column, positives: int = 5000
             x = [features(t).astype(np.float32) for t in b.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.float32())), b.column(1), b.column(2)], ["x", "p", "u"])
 
-    rows = seen.mapInArrow(run, "x array<float>, p boolean, u boolean").toArrow()
+    rows = seen.mapInArrow(lean(run), "x array<float>, p boolean, u boolean").toArrow()
     x = rows.column("x").combine_chunks().flatten().to_numpy().reshape(-1, N_FEATURES).astype(float) if rows.num_rows else np.zeros((0, N_FEATURES))
     isp, isu = (np.array(rows.column(c).to_pylist(), bool) for c in ("p", "u"))
     mean, dev = (x.mean(0), x.std(0) + 1e-3) if len(x) else (np.zeros(N_FEATURES), np.ones(N_FEATURES))
@@ -157,4 +157,4 @@ def score(docs: DataFrame, model: QualityModel) -> DataFrame:
             x = np.array([features(t) for t in b.column(1).to_pylist()]).reshape(-1, N_FEATURES)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(model.scores(x))], ["doc_id", "score"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(lean(run), "doc_id long, score double")

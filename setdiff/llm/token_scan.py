@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import bpe
-from .common import keep, scratch, small
+from .common import keep, lean, scratch, small
 
 BLOCK = 4 << 20
 #: Blocks that the first level of the prefix scan takes together.
@@ -63,7 +63,7 @@ def scan_blocks(spark: SparkSession, path: str, eod: int, block: int = BLOCK) ->
                 )
 
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    return cuts.repartition(parts, "file", "block").mapInArrow(run, "file string, block long, n_tokens long, n_eod long, head long, tail long, inner array<long>")
+    return cuts.repartition(parts, "file", "block").mapInArrow(lean(run), "file string, block long, n_tokens long, n_eod long, head long, tail long, inner array<long>")
 
 
 def stitch(blocks: DataFrame) -> DataFrame:
@@ -141,7 +141,7 @@ def write_flat(docs: DataFrame, path: str, ranks: str, pattern: str, eod: int) -
                 out.close()
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return keep(rows.mapInArrow(run, "file string, ordinal long, doc_id long"), "manifest")
+    return keep(rows.mapInArrow(lean(run, bpe.forget_encoders), "file string, ordinal long, doc_id long"), "manifest")
 
 
 def token_counts(docs: DataFrame, ranks: str, pattern: str, eod: int, block: int = BLOCK) -> DataFrame:

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, keep, scratch, small
+from .common import bounded_broadcast, keep, lean, scratch, small
 
 VERSION = b"WARC/1.1"
 _STARTS = re.compile(rb"^WARC/1\.\d\r?\n", re.M)
@@ -89,7 +89,7 @@ def write_archive(pages: DataFrame, path: str, least: int = 0, records_per_file:
                 out.append(member(record("response" if refers is None else "revisit", page, row, url, payload, sha1_base32(payload), refers)))
             yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], ["member"])
 
-    made = plan_records(pages, least).mapInArrow(run, "member binary")
+    made = plan_records(pages, least).mapInArrow(lean(run), "member binary")
     (made.select(F.col("member").cast("string").alias("value")).write.option("maxRecordsPerFile", records_per_file)
      .option("encoding", "ISO-8859-1").option("lineSep", EMPTY_MEMBER.decode("latin-1")).text(path))
 
@@ -213,7 +213,7 @@ def read_archives(spark: SparkSession, path: str, with_payload: bool = True) ->
                 yield pack(rows)
 
     files = spark.read.format("binaryFile").option("recursiveFileLookup", "true").load(path).select("path", "content")
-    return files.mapInArrow(run, READ_SCHEMA)
+    return files.mapInArrow(lean(run), READ_SCHEMA)
 
 
 def page_of(column: str) -> Column:
