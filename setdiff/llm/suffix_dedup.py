@@ -38,7 +38,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep, small, stowed
+from .common import bounded_broadcast, keep, lean, small, stowed
 
 LENGTH, GRAM = 400, 64
 #: Bytes that stand for a word.
@@ -66,6 +66,11 @@ def _powers(m: int, n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS[m]
 
 
+def forget_powers() -> None:
+    """Drops the powers of this process."""
+    _POWERS.clear()
+
+
 def string_hashes(raw: bytes, length: int, m: int = _M) -> np.ndarray:
     """64-bit hash of the ``length`` bytes from every position."""
     a = np.frombuffer(raw, np.uint8)
@@ -303,7 +308,7 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
                     k = len(h)
                     yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(n > 1), pa.array(np.full(k, t1, np.int64)), pa.array(np.full(k, t2, np.int64))], ["gram", "twice", "t1", "t2"])
 
-    grams = keep(texts.where(F.octet_length("raw") >= length).mapInArrow(find, "gram long, twice boolean, t1 long, t2 long"), "grams")
+    grams = keep(texts.where(F.octet_length("raw") >= length).mapInArrow(lean(find, forget_powers), "gram long, twice boolean, t1 long, t2 long"), "grams")
     shared = (
         grams.groupBy("gram").agg(F.min("t1").alias("lo"), F.max("t1").alias("hi"), F.max("twice").alias("twice"), F.count(F.lit(1)).alias("n"))
         .where("twice or lo <> hi").select("gram", (F.col("n") > hot).alias("hot"))
@@ -343,7 +348,7 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
         yield from _cut_windows(windows, length)
 
     distinct = texts.groupBy("t1", "t2").agg(F.first("raw").alias("raw"))
-    cuts = keep(distinct.join(wanted, ["t1", "t2"]).select("t1", "t2", "raw", "gram", "hot").mapInArrow(cut, _PARTS), "runs")
+    cuts = keep(distinct.join(wanted, ["t1", "t2"]).select("t1", "t2", "raw", "gram", "hot").mapInArrow(lean(cut, forget_powers), _PARTS), "runs")
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[bytes] = []
@@ -374,7 +379,7 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
             yield from work()
 
     runs = cuts.where(F.col("kind") == _RUN).select("bucket", "blob").repartition(buckets, "bucket").sortWithinPartitions("bucket")
-    merged = runs.mapInArrow(merge, "t1 long, t2 long, a long, b long")
+    merged = runs.mapInArrow(lean(merge), "t1 long, t2 long, a long, b long")
     windows = cuts.where(F.col("kind") == _WINDOWS).select("w1", "w2", "t1", "t2", "a", F.col("b").alias("settled"))
     again = windows.groupBy("w1", "w2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("w1", "w2")
     of_hot = windows.where("settled = 0").join(again, ["w1", "w2"]).select("t1", "t2", "a", (F.col("a") + length).alias("b"))
@@ -414,7 +419,7 @@ def word_codes(texts: DataFrame, words: int) -> DataFrame:
             codes = [np.fromiter(map(crc32, _WORD.findall(raw)), "<u4").tobytes() for raw in b.column("raw").to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column("t1"), b.column("t2"), pa.array(codes, pa.binary())], ["t1", "t2", "raw"])
 
-    return texts.mapInArrow(run, "t1 long, t2 long, raw binary").where(F.octet_length("raw") >= CODE * words)
+    return texts.mapInArrow(lean(run), "t1 long, t2 long, raw binary").where(F.octet_length("raw") >= CODE * words)
 
 
 def word_spans(raw: bytes, found: list[tuple[int, int]], words: int) -> list[tuple[int, int]]:
@@ -443,18 +448,41 @@ def repeat_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: i
     return spans, copies
 
 
-def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT, with_text: bool = False) -> DataFrame:
-    """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, on demand, ``clean_text``: what is left, cut at whole characters."""
-    spans, copies = repeat_spans(docs, length, gram, hot)
+def word_repeats(texts: DataFrame, words: int, gram: int = GRAM, hot: int = HOT) -> tuple[DataFrame, DataFrame]:
+    """(stretches, copies) as in ``repeat_spans``, of runs of ``words`` words or more that repeat; ``stretches`` count in word codes, see ``word_spans``."""
+    codes = keep(word_codes(texts, words), "codes")
+    found = keep(repeated_stretches(codes, CODE * words, gram, hot), "stretches")
+    copies = codes.groupBy("t1", "t2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("t1", "t2")
+    return found.groupBy("t1", "t2").agg(F.collect_set(F.struct("a", "b")).alias("stretches")), copies
+
+
+def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT, with_text: bool = False, words: int | None = None) -> DataFrame:
+    """Per row: doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, on demand, ``clean_text``: what is left, cut at whole characters.
+
+    With ``words``, also ``n_word_spans``: maximal runs of so many words or more that occur elsewhere too, however few bytes they take (they are
+    counted, not removed), and ``repeats``: whether the row holds a repeat of either kind.
+    """
+    stretches = "array<struct<a:bigint,b:bigint>>"
     keyed = _keys(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"))
-    texts = keyed.groupBy("t1", "t2").agg(F.first("raw").alias("raw"))
-    cut = texts.join(spans, ["t1", "t2"]).select("t1", "t2", "raw", "stretches.a", "stretches.b")
+    spans, copies = repeat_spans(docs, length, gram, hot)
+    marks = spans.select("t1", "t2", F.col("stretches").alias("_gone")).join(copies.withColumn("_all", F.lit(True)), ["t1", "t2"], "full")
+    if words:
+        by_words, same_words = word_repeats(keyed.select("t1", "t2", "raw"), words, gram, hot)
+        marks = marks.join(by_words.select("t1", "t2", F.col("stretches").alias("_words")), ["t1", "t2"], "full").join(same_words.withColumn("_all_words", F.lit(True)), ["t1", "t2"], "full")
+    else:
+        marks = marks.withColumn("_words", F.lit(None).cast(stretches)).withColumn("_all_words", F.lit(False))
+    marks = keep(marks, "marks")
+    # Texts are read only where a stretch has to be cut or counted: copies are known to go, and to be one run of words.
+    cut = marks.where("(_gone is not null and _all is null) or (_words is not null and not coalesce(_all_words, false))")
+    cut = bounded_broadcast(cut, 100_000)
+    texts = keyed.select("t1", "t2", "raw").join(cut, ["t1", "t2"]).groupBy("t1", "t2").agg(*[F.first(c).alias(c) for c in ("raw", "_gone", "_words")])
+    texts = texts.select("t1", "t2", "raw", "_gone.a", "_gone.b", F.col("_words.a").alias("wa"), F.col("_words.b").alias("wb"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
             rows = []
-            for t1, t2, raw, begin, end in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                gone = join_stretches(list(zip(begin, end, strict=True)))
+            for t1, t2, raw, begin, end, wa, wb in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                gone = join_stretches(list(zip(begin or (), end or (), strict=True)))
                 left, at = [], 0
                 for x, y in gone:
                     left.append(raw[at:x])
@@ -467,25 +495,28 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
                         whole.append(raw[at:x])
                         at = y
                     text = b"".join([*whole, raw[at:]]).decode("utf-8", "replace")
-                rows.append((t1, t2, sum(y - x for x, y in gone), len(gone), hashlib.sha256(b"".join(left)).hexdigest(), text))
-            kinds = [pa.int64()] * 4 + [pa.string()] * 2
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], ["t1", "t2", "_removed", "_spans", "_sha", "_left"])
-
-    done = cut.mapInArrow(run, "t1 long, t2 long, _removed long, _spans long, _sha string, _left string")
-    done = keep(done.join(copies, ["t1", "t2"], "left_anti").withColumn("_all", F.lit(False)).union(
-        copies.select("t1", "t2", *[F.lit(None).cast(t).alias(n) for n, t in (("_removed", "long"), ("_spans", "long"), ("_sha", "string"), ("_left", "string"))], F.lit(True))
-    ), "removed")
+                by_word = len(word_spans(raw, list(zip(wa, wb, strict=True)), words)) if wa else 0
+                rows.append((t1, t2, sum(y - x for x, y in gone), len(gone), by_word, hashlib.sha256(b"".join(left)).hexdigest(), text))
+            kinds = [pa.int64()] * 5 + [pa.string()] * 2
+            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], ["t1", "t2", "_removed", "_spans", "_by_word", "_sha", "_left"])
+
+    done = texts.mapInArrow(lean(run), "t1 long, t2 long, _removed long, _spans long, _by_word long, _sha string, _left string")
+    whole = marks.where("_all or _all_words").select("t1", "t2", "_all", "_all_words")
+    done = keep(done.join(whole, ["t1", "t2"], "full"), "removed")
     size = F.octet_length("raw").cast("long")
-    everything = F.col("_all")
+    everything = F.coalesce("_all", F.lit(False))
     rows = keyed.select("doc_id", "t1", "t2", size.alias("n_bytes"), F.sha2("raw", 256).alias("_whole"), *["text"] * with_text)
-    out = rows.join(done, ["t1", "t2"], "left")
+    out = rows.join(bounded_broadcast(done, 100_000), ["t1", "t2"], "left")
     zero, empty = F.lit(0).cast("long"), F.lit(hashlib.sha256(b"").hexdigest())
+    removed = F.when(everything, F.col("n_bytes")).otherwise(F.coalesce("_removed", zero))
     cols = [
-        "doc_id", "n_bytes",
-        F.when(everything, F.col("n_bytes")).otherwise(F.coalesce("_removed", zero)).alias("n_removed"),
+        "doc_id", "n_bytes", removed.alias("n_removed"),
         F.when(everything, F.lit(1).cast("long")).otherwise(F.coalesce("_spans", zero)).alias("n_spans"),
         F.when(everything, empty).otherwise(F.coalesce("_sha", "_whole")).alias("kept_sha256"),
     ]
+    if words:
+        by_word = F.when(F.col("_all_words"), F.lit(1).cast("long")).otherwise(F.coalesce("_by_word", zero))
+        cols += [by_word.alias("n_word_spans"), ((removed > 0) | (by_word > 0)).alias("repeats")]
     if with_text:
         cols.append(F.when(everything, F.lit("")).when(F.col("_left").isNotNull(), F.col("_left")).otherwise(F.col("text")).alias("clean_text"))
     return out.select(*cols)
@@ -499,11 +530,9 @@ def clean_documents(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot
     spans, copies = repeat_spans(docs, length, gram, hot)
     spans = spans.select("t1", "t2", F.col("stretches").alias("_gone"), F.lit(None).cast("array<struct<a:bigint,b:bigint>>").alias("_words"))
     if words:
-        codes = keep(word_codes(_keys(docs.select("text")).select("t1", "t2", "raw"), words), "codes")
-        found = keep(repeated_stretches(codes, CODE * words, gram, hot), "stretches")
-        by_words = found.groupBy("t1", "t2").agg(F.collect_set(F.struct("a", "b")).alias("_words"))
-        spans = spans.drop("_words").join(by_words, ["t1", "t2"], "full")
-        copies = copies.union(codes.groupBy("t1", "t2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("t1", "t2")).distinct()
+        by_words, same_words = word_repeats(_keys(docs.select("text")).select("t1", "t2", "raw"), words, gram, hot)
+        spans = spans.drop("_words").join(by_words.withColumnRenamed("stretches", "_words"), ["t1", "t2"], "full")
+        copies = copies.union(same_words).distinct()
     nothing = [F.lit(None).cast("array<struct<a:bigint,b:bigint>>").alias(c) for c in ("_gone", "_words")]
     everything = copies.select("t1", "t2", F.lit(True).alias("_all"), *nothing)
     some = spans.join(copies, ["t1", "t2"], "left_anti").select("t1", "t2", F.lit(False).alias("_all"), "_gone", "_words")
@@ -532,4 +561,4 @@ def clean_documents(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot
     new = {"text": F.col("_new"), "n_chars": F.length("_new")}
     old = lambda f: F.col("_row").getField(f.name)
     cols = [(F.when(F.col("_new").isNull(), old(f)).otherwise(new[f.name].cast(f.dataType)) if f.name in new else old(f)).alias(f.name) for f in docs.schema.fields]
-    return joined.mapInArrow(run, whole).select(*cols)
+    return joined.mapInArrow(lean(run), whole).select(*cols)
