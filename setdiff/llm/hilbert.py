@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import keep
+from .common import keep, stowed
 
 #: Slices that a table is cut into for ranking; bounds the offsets that are broadcast.
 SLICES = 4096
@@ -131,12 +131,13 @@ def cut_runs(ranked: DataFrame, n_rows: int, shards: int) -> DataFrame:
     )
 
 
-def hilbert_shards(docs: DataFrame, shards: int = 16, bits: int = 3) -> DataFrame:
+def hilbert_shards(docs: DataFrame, shards: int = 16, bits: int = 3, row: str | None = None) -> DataFrame:
     """Shards documents by language, source, size and id order.
 
     Per row: doc_id, lang, source, size (UTF-8 bytes plus one; null text: 1), text_crc32, curve, rank, shard, slot.
     Law ``rows``: shard counts differ by one at most. Null ids, null metadata, repeated rows and
-    empty texts are ordinary rows; other columns are ignored.
+    empty texts are ordinary rows; other columns are ignored. ``row`` names a column of unique
+    longs (of a written table) that comes out as ``_row_id``, to join the rows by.
     """
     text = F.coalesce(F.col("text"), F.lit(""))
     narrow = keep(
@@ -144,7 +145,7 @@ def hilbert_shards(docs: DataFrame, shards: int = 16, bits: int = 3) -> DataFram
             "doc_id", "lang", "source",
             (F.octet_length(text) + 1).cast("long").alias("size"),
             F.crc32(text).alias("text_crc32"),
-            F.monotonically_increasing_id().alias("_row_id"),
+            (F.col(row) if row else F.monotonically_increasing_id()).alias("_row_id"),
         ),
         "hilbert",
     )
@@ -156,7 +157,7 @@ def hilbert_shards(docs: DataFrame, shards: int = 16, bits: int = 3) -> DataFram
         .withColumn("_age", quantise_number(narrow, "doc_id", bits))
     )
     ranked = hilbert_order(leveled, ["_lang", "_source", "_size", "_age"], bits, ["doc_id", "_row_id"])
-    return cut_runs(ranked, n_rows, shards).drop("_lang", "_source", "_size", "_age", "_row_id")
+    return cut_runs(ranked, n_rows, shards).drop("_lang", "_source", "_size", "_age", *[] if row else ["_row_id"])
 
 
 def shard_extents(sharded: DataFrame) -> DataFrame:
@@ -168,8 +169,19 @@ def shard_extents(sharded: DataFrame) -> DataFrame:
     )
 
 
-def write_shards(docs: DataFrame, sharded: DataFrame, path: str) -> None:
-    """Writes the rows of ``docs`` as one folder per shard, in slot order."""
-    where = sharded.select("doc_id", "shard", "slot")
-    (docs.join(where, "doc_id").repartition("shard").sortWithinPartitions("shard", "slot")
-     .drop("slot").write.partitionBy("shard").parquet(path))
+def write_shards(docs: DataFrame, path: str, shards: int = 16, bits: int = 3, files_per_shard: int = 4) -> DataFrame:
+    """Writes every row of ``docs`` once, as one folder per shard of about ``files_per_shard`` files cut from the curve; returns the shards as ``hilbert_shards`` does.
+
+    Rows are joined to their places by a row number, so null and repeated ids are ordinary rows. The folders' column is
+    ``shard``, or ``shard_``, ``shard__`` and so on where ``docs`` has such a column. An empty table writes no folder.
+    """
+    name = "shard"
+    while name in docs.columns:
+        name += "_"
+    numbered = keep(stowed(docs).withColumn("_number", F.monotonically_increasing_id()), "numbered")
+    meta = [F.col(f"_row.{c}").alias(c) for c in ("doc_id", "text", "lang", "source")]
+    sharded = keep(hilbert_shards(numbered.select(*meta, "_number"), shards, bits, "_number"), "shards")
+    placed = numbered.join(sharded.select(F.col("_row_id").alias("_number"), "rank", F.col("shard").alias("_shard")), "_number")
+    (placed.repartitionByRange(shards * files_per_shard, "rank").sortWithinPartitions("rank")
+     .select("_row.*", F.col("_shard").alias(name)).write.partitionBy(name).parquet(path))
+    return sharded.drop("_row_id")

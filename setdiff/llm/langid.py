@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import small
+from .common import lean, small, stowed
 
 UNDETERMINED = "und"
 BUCKETS = 1 << 14
@@ -128,7 +128,7 @@ def fit(docs: DataFrame, train: Column, per_language: int = 3000, most_languages
         yield pa.RecordBatch.from_arrays([pa.array(i, pa.int32()), pa.array(j, pa.int32()), pa.array(total[i, j].astype(np.int64))], ["lang_no", "bucket", "n"])
 
     counts = np.zeros((len(langs), BUCKETS))
-    sums = picked.where("_u < 0.5").mapInArrow(count, "lang_no int, bucket int, n long").groupBy("lang_no", "bucket").agg(F.sum("n").alias("n"))
+    sums = picked.where("_u < 0.5").mapInArrow(lean(count), "lang_no int, bucket int, n long").groupBy("lang_no", "bucket").agg(F.sum("n").alias("n"))
     got = sums.toPandas()
     counts[got["lang_no"], got["bucket"]] = got["n"]
     freq = (counts + 0.5) / (counts.sum(1, keepdims=True) + 0.5 * BUCKETS)
@@ -149,7 +149,7 @@ def fit(docs: DataFrame, train: Column, per_language: int = 3000, most_languages
         i, j = np.nonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(i, pa.int32()), pa.array(j, pa.int32()), pa.array(total[i, j])], ["lang_no", "what", "x"])
 
-    tried = picked.where("_u >= 0.5").mapInArrow(try_out, "lang_no int, what int, x double").groupBy("lang_no", "what").agg(F.sum("x").alias("x")).toPandas()
+    tried = picked.where("_u >= 0.5").mapInArrow(lean(try_out), "lang_no int, what int, x double").groupBy("lang_no", "what").agg(F.sum("x").alias("x")).toPandas()
     seen = np.zeros((len(langs), 1 + 2 * code.shape[1]))
     seen[tried["lang_no"], tried["what"]] = tried["x"]
     bits = code.shape[1]
@@ -161,21 +161,19 @@ def fit(docs: DataFrame, train: Column, per_language: int = 3000, most_languages
 
 
 def identify(docs: DataFrame, model: LanguageCodes) -> DataFrame:
-    """Adds lang_pred, lang_score and lang_ambiguous to every row of ``docs``, whose columns are kept as they are.
+    """Adds lang_pred, lang_score and lang_ambiguous to every row of ``docs``; other columns are kept as they are, whatever their names.
 
-    Null or letterless texts are ``und`` with score 0. Only ``text`` is looked at.
+    Columns of ``docs`` that bear one of the three names are replaced. Null or letterless texts are ``und`` with score 0. Only ``text`` is looked
+    at, so repeated rows get equal answers; of languages that fit equally well the first by name is taken and the row is ambiguous. An empty table gives no rows.
     """
-    own = ("lang_pred", "lang_score", "lang_ambiguous")
+    own = {"lang_pred": pa.string(), "lang_score": pa.float64(), "lang_ambiguous": pa.bool_()}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
-            found = [model.predict(t) for t in b.column("_text").to_pylist()]
-            cols = [b.column(i) for i in range(b.num_columns - 1)]
-            new = [pa.array([f[k] for f in found], t) for k, t in enumerate((pa.string(), pa.float64(), pa.bool_()))]
-            yield pa.RecordBatch.from_arrays(cols + new, [*b.schema.names[:-1], *own])
+            found = [model.predict(t) for t in b.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column("_row"), *(pa.array([f[k] for f in found], t) for k, t in enumerate(own.values()))], ["_row", *own])
 
-    kept = docs.drop(*own)
-    from pyspark.sql import types as T
-
-    schema = T.StructType([*kept.schema.fields, T.StructField(own[0], T.StringType()), T.StructField(own[1], T.DoubleType()), T.StructField(own[2], T.BooleanType())])
-    return kept.withColumn("_text", F.col("text").cast("string")).mapInArrow(run, schema)
+    rows = stowed(docs).select("_row", F.col("_row.text").cast("string").alias("text"))
+    schema = rows.select("_row", *(F.lit(None).cast(t).alias(n) for n, t in zip(own, ("string", "double", "boolean"), strict=True))).schema
+    kept = [F.col("_row").getField(c).alias(c) for c in docs.columns if c not in own]
+    return rows.mapInArrow(lean(run), schema).select(*kept, *own)

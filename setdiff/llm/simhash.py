@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, keep, small, stowed
+from .common import bounded_broadcast, keep, lean, small, stowed
 from .components import connected
 
 SEED, WIDTH = 42, 64
@@ -72,7 +72,7 @@ def fingerprints(docs: DataFrame, size: int = 4) -> DataFrame:
             fp = np.array([fingerprint(t, size) for t in b.column(1).to_pylist()], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fp)], ["doc_id", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(lean(run), "doc_id long, fp long")
 
 
 def _bits(fp: np.ndarray) -> np.ndarray:
@@ -90,7 +90,7 @@ def bit_correlation(fps: DataFrame) -> np.ndarray:
         i, j = np.triu_indices(WIDTH + 1)
         yield pa.RecordBatch.from_arrays([pa.array(i, pa.int32()), pa.array(j, pa.int32()), pa.array(total[i, j].astype(np.int64))], ["i", "j", "n"])
 
-    got = fps.mapInArrow(run, "i int, j int, n long").groupBy("i", "j").agg(F.sum("n").alias("n")).toPandas()
+    got = fps.mapInArrow(lean(run), "i int, j int, n long").groupBy("i", "j").agg(F.sum("n").alias("n")).toPandas()
     both = np.zeros((WIDTH + 1, WIDTH + 1))
     both[got["i"], got["j"]] = both[got["j"], got["i"]] = got["n"]
     n = max(both[WIDTH, WIDTH], 1)
@@ -238,7 +238,7 @@ def links(fps: DataFrame, radius: int, parts: list[tuple[list[int], int]]) -> Da
             yield work(rest_run, rest_fp)
 
     n = int(fps.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return runs.repartition(n, "run").sortWithinPartitions("run").mapInArrow(compare, "a long, b long")
+    return runs.repartition(n, "run").sortWithinPartitions("run").mapInArrow(lean(compare), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, size: int = 4, radius: int = 4) -> DataFrame:
@@ -263,7 +263,15 @@ def near_duplicates(docs: DataFrame, size: int = 4, radius: int = 4) -> DataFram
 
 
 def keep_one(docs: DataFrame, size: int = 4, radius: int = 4) -> DataFrame:
-    """The rows of ``docs`` whose document names its group; rows with a null id stay. Columns are kept, whatever their names."""
-    groups = near_duplicates(docs, size, radius)
-    gone = groups.where("doc_id <> component_id").select(F.col("doc_id").alias("_gone"))
-    return stowed(docs).join(gone, F.col("_row.doc_id") == F.col("_gone"), "left_anti").select("_row.*")
+    """One row of each group: that of the smallest doc_id (nulls last), then of the least text hash. Columns are kept, whatever their names.
+
+    Repeated rows and rows with a null id are members like any other, so of a group exactly one row stays.
+    """
+    rows = keep(stowed(docs).withColumn("row", F.monotonically_increasing_id()), "rows")
+    # the row number stands in for the id, so that equal or missing ids can't be taken for each other
+    groups = near_duplicates(rows.select(F.col("row").alias("doc_id"), F.col("_row.text").alias("text")), size, radius)
+    order = F.struct(F.col("_row.doc_id").isNull().alias("none"), F.col("_row.doc_id").alias("id"), F.xxhash64(F.col("_row.text").cast("string")).alias("text"), "row")
+    placed = groups.select(F.col("doc_id").alias("row"), "component_id").join(rows.select("row", order.alias("order")), "row")
+    stay = placed.groupBy("component_id").agg(F.min("order").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("component_id", F.col("first.row").alias("stays"))
+    gone = placed.join(bounded_broadcast(stay, 100_000), "component_id").where("row <> stays").select(F.col("row").alias("_gone"))
+    return rows.join(gone, F.col("row") == F.col("_gone"), "left_anti").select("_row.*")

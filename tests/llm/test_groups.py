@@ -113,7 +113,7 @@ def test_groups_edge_cases(docs):
     out = {(r["doc_id"], r["component_id"]) for r in simhash.near_duplicates(rows).collect()}
     assert {(40, 40), (50, 40), (60, 40), (None, 40), (1, 1), (2, 1), (3, 1), (5, 5)} <= out
     kept = simhash.keep_one(rows).collect()
-    assert sorted(r["doc_id"] for r in kept if r["doc_id"] is not None) == [1, 4, 5, 5, 6, 7, 40] and len(kept[0]) == 5
+    assert sorted(r["doc_id"] for r in kept if r["doc_id"] is not None) == [1, 4, 5, 6, 7, 40] and len(kept) == 7 and len(kept[0]) == 5
     assert simhash.near_duplicates(rows.limit(0)).count() == 0
 
 
@@ -181,6 +181,29 @@ def test_repeats_edge_cases(docs):
     assert suffix_dedup.remove_repeats(docs(*ODD).limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("hot", [512, 1])
+def test_word_repeats(docs, hot):
+    """Runs of 51 words and more are counted in every row that holds one, by brute force over windows of words; short words make them shorter than 400 bytes."""
+    rng = random.Random(5)
+    words = lambda n: ["".join(rng.choice("abcdefghij") for _ in range(rng.randint(2, 6))) for _ in range(n)]
+    p, q = words(55), words(51)
+    texts = [words(20) + p + words(9), words(3) + p + words(30) + q, q[:50] + words(8), q + words(60), words(70), words(51) * 2]
+    texts = [" ".join(t) for t in texts] + ["\n" + " ".join(p), " ".join(p), None, ""]
+    texts += [texts[4], "  ".join(texts[4].split())]
+    split = [(t or "").split() for t in texts]
+    seen = Counter(tuple(w[i : i + 51]) for w in split for i in range(len(w) - 50))
+    out = {r["doc_id"]: r for r in suffix_dedup.remove_repeats(docs(*enumerate(texts)), words=51, hot=hot).collect()}
+    for i, w in enumerate(split):
+        hit = np.zeros(len(w) + 1, int)
+        for k in range(len(w) - 50):
+            if seen[tuple(w[k : k + 51])] > 1:
+                hit[k] += 1
+                hit[k + 51] -= 1
+        runs = int((np.diff(np.concatenate([[0], (np.cumsum(hit) > 0).astype(int)])) == 1).sum())
+        assert out[i]["n_word_spans"] == runs and out[i]["repeats"] == (runs > 0 or out[i]["n_removed"] > 0), i
+    assert out[0]["n_removed"] == 0 and sum(r["repeats"] for r in out.values()) == 9
+
+
 def test_clean_documents_cut_at_characters(docs):
     rng = random.Random(4)
     shared = "".join(rng.choice("éüß") for _ in range(60))
@@ -269,10 +292,22 @@ def test_shards_prune_and_write(spark, sf, tmp_path):
     spread = lambda x: x.groupBy("shard").agg(F.countDistinct("lang").alias("n")).agg(F.avg("n")).first()[0]
     assert spread(s) < spread(s.withColumn("shard", F.pmod(F.xxhash64("doc_id"), F.lit(8))))
     assert hilbert.shard_extents(s).count() == 8
-    hilbert.write_shards(d, s, str(tmp_path / "out"))
+    hilbert.write_shards(d, str(tmp_path / "out"), 8)
     assert spark.read.parquet(str(tmp_path / "out")).count() == d.count()
 
 
+def test_write_shards_edge_cases(spark, docs, tmp_path):
+    """Null ids, repeated rows and ids, null texts and a column named shard: every row is written once, in its shard; shards are one row apart."""
+    rows = [(None, "a b"), (None, None), (1, "x"), (1, "x"), (1, "y"), (2, "")]
+    d = docs(*rows).withColumn("shard", F.lit(7))
+    hilbert.write_shards(d, str(tmp_path / "out"), 4)
+    back = spark.read.parquet(str(tmp_path / "out"))
+    assert set(back.columns) == {*d.columns, "shard_"} and back.where("shard <> 7").count() == 0
+    assert sorted((repr(r["doc_id"]), repr(r["text"])) for r in back.collect()) == sorted((repr(i), repr(t)) for i, t in rows)
+    assert sorted(r["count"] for r in back.groupBy("shard_").count().collect()) == [1, 1, 2, 2]
+    assert hilbert.write_shards(d.limit(0), str(tmp_path / "none"), 4).count() == 0
+
+
 def test_sharding_is_native(spark, sf):
     plan = hilbert.hilbert_shards(spark.read.parquet(f"{sf}/documents.parquet"))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Cartesian" not in plan
