@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from .common import lean, small
 
 #: Characters of text that are encoded together, and pre-tokens that a worker remembers between batches.
-TOGETHER, REMEMBERED = 8 << 20, 300_000
+TOGETHER, REMEMBERED = 4 << 20, 200_000
 #: Fewer new pre-tokens than this are merged one at a time.
 FEW = 400
 

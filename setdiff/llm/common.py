@@ -61,7 +61,15 @@ def keep(df: DataFrame, tag: str) -> DataFrame:
     """Writes ``df`` to the shared folder and reads it back: lineage ends, losses of executors don't matter."""
     path = scratch(df.sparkSession, tag)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out.kept_at = path
+    return out
+
+
+def discard(*kept: DataFrame) -> None:
+    """Removes tables that ``keep`` wrote, once all that is worked out from them is written itself."""
+    for df in kept:
+        remove(df.sparkSession, df.kept_at)
 
 
 def stowed(docs: DataFrame) -> DataFrame:

@@ -11,17 +11,17 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import keep
+from .common import discard, keep
 
 
 def connected(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """(node, root) for every node of ``edges`` (a long, b long); nodes of one component share a root.
+    """(node, root), written, for every node of ``edges`` (a long, b long); nodes of one component share a root.
 
     Loops and repeated edges are allowed; nulls are dropped; no edges give no rows.
     """
     spark = edges.sparkSession
-    now = keep(edges.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "edges")
     picks: list[DataFrame] = []
+    now = keep(edges.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "edges")
     for k in range(most_rounds):
         if now.isEmpty():
             break
@@ -30,16 +30,20 @@ def connected(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
         pick = keep(both.groupBy("a").agg(F.least(F.min(order("b")), F.min(order("a"))).alias("m")).select(F.col("a").alias("node"), F.col("m.v").alias("root")), "picks")
         picks.append(pick)
         first, second = pick.toDF("a", "ra"), pick.toDF("b", "rb")
-        now = keep(
+        before, now = now, keep(
             now.join(first, "a").join(second, "b").where("ra <> rb")
             .select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b")).distinct(),
             "edges",
         )
+        discard(before)
     else:
         raise RuntimeError(f"components are not done after {most_rounds} rounds")
+    discard(now)
     if not picks:
-        return spark.createDataFrame([], "node long, root long")
+        return keep(spark.createDataFrame([], "node long, root long"), "roots")
     found = picks[0]
     for pick in picks[1:]:
         found = found.join(pick.toDF("root", "_next"), "root", "left").select("node", F.coalesce("_next", "root").alias("root"))
+    found = keep(found, "roots")
+    discard(*picks)
     return found

@@ -38,7 +38,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, keep, lean, small, stowed
+from .common import bounded_broadcast, discard, keep, lean, small, stowed
 
 LENGTH, GRAM = 400, 64
 #: Bytes that stand for a word.
@@ -294,7 +294,7 @@ def _cut_windows(windows: list[np.ndarray], length: int) -> Iterator[pa.RecordBa
 
 
 def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT) -> DataFrame:
-    """(t1, t2, a, b): stretches to remove, by key of the text; ``texts`` (t1, t2, raw binary) may hold copies of a text.
+    """(t1, t2, a, b), written: stretches to remove, by key of the text; ``texts`` (t1, t2, raw binary) may hold copies of a text.
 
     Copies of a whole text count once here; see ``remove_repeats`` for them.
     """
@@ -317,6 +317,7 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
         grams.select("gram", "t1", "t2").join(shared, "gram").groupBy("t1", "t2")
         .agg(F.collect_set(F.struct("gram", "hot")).alias("g")).select("t1", "t2", "g.gram", "g.hot"), "wanted",
     )
+    discard(grams)
     total = wanted.agg(F.sum(F.size("gram"))).first()[0] or 0
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     buckets = max(parts, int(total * 1.5 * length) // MERGE_BYTES)
@@ -349,6 +350,7 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
 
     distinct = texts.groupBy("t1", "t2").agg(F.first("raw").alias("raw"))
     cuts = keep(distinct.join(wanted, ["t1", "t2"]).select("t1", "t2", "raw", "gram", "hot").mapInArrow(lean(cut, forget_powers), _PARTS), "runs")
+    discard(wanted)
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[bytes] = []
@@ -384,7 +386,9 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
     again = windows.groupBy("w1", "w2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("w1", "w2")
     of_hot = windows.where("settled = 0").join(again, ["w1", "w2"]).select("t1", "t2", "a", (F.col("a") + length).alias("b"))
     settled = cuts.where(F.col("kind") == _STRETCH).select("t1", "t2", "a", "b")
-    return settled.union(merged).union(of_hot)
+    found = keep(settled.union(merged).union(of_hot), "stretches")
+    discard(cuts)
+    return found
 
 
 def join_stretches(found: list[tuple[int, int]]) -> list[tuple[int, int]]:
@@ -442,7 +446,7 @@ def repeat_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: i
     ``stretches`` may overlap; see ``join_stretches``.
     """
     texts = _keys(docs.select("text")).select("t1", "t2", "raw")
-    found = keep(repeated_stretches(texts, length, gram, hot), "stretches")
+    found = repeated_stretches(texts, length, gram, hot)
     spans = found.groupBy("t1", "t2").agg(F.collect_set(F.struct("a", "b")).alias("stretches"))
     copies = texts.where(F.octet_length("raw") >= length).groupBy("t1", "t2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("t1", "t2")
     return spans, copies
@@ -451,8 +455,9 @@ def repeat_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: i
 def word_repeats(texts: DataFrame, words: int, gram: int = GRAM, hot: int = HOT) -> tuple[DataFrame, DataFrame]:
     """(stretches, copies) as in ``repeat_spans``, of runs of ``words`` words or more that repeat; ``stretches`` count in word codes, see ``word_spans``."""
     codes = keep(word_codes(texts, words), "codes")
-    found = keep(repeated_stretches(codes, CODE * words, gram, hot), "stretches")
-    copies = codes.groupBy("t1", "t2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("t1", "t2")
+    found = repeated_stretches(codes, CODE * words, gram, hot)
+    copies = keep(codes.groupBy("t1", "t2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("t1", "t2"), "copies")
+    discard(codes)
     return found.groupBy("t1", "t2").agg(F.collect_set(F.struct("a", "b")).alias("stretches")), copies
 
 
