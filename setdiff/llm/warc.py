@@ -7,10 +7,11 @@ a gzip member of its own. Files are written by Spark's text sink: members are it
 line separator is an empty gzip member, which readers skip; so any Hadoop file system works and
 the committer discards what lost tasks wrote.
 
-Reader: whole files of bounded size are walked member by member (or version line by version line in uncompressed archives).
-A member or record that fails a check (inflation, CRC, header, length, trailing blank lines,
-block digest) is quarantined: the reader searches on for the next place where a valid member or version line
-begins, goes on from there, and logs the bytes between as a gap. Nothing after the damage is lost.
+Reader: whole files of bounded size are walked member by member (or version line by version line in uncompressed archives), and
+members, which may hold any number of records, record by record as they are inflated. A member or record that fails a check (inflation, CRC, header,
+length, trailing blank lines, block digest) is quarantined: the reader searches on for the next place where a valid member or version line
+begins, goes on from there, and logs the bytes between as a gap, inside a member by inner offsets. Nothing after the damage is lost but what the damaged
+member itself holds behind it. Files go through Spark's ``binaryFile``, which refuses those above 2 GB.
 
 A null html is an empty payload; null ids and urls are written as empty values and read back as null.
 An empty table writes an archive without records. Repeated rows are records of their own.
@@ -37,6 +38,10 @@ EMPTY_MEMBER = bytes([0x1F, 0x8B, 8, 0, 0, 0, 0, 0, 0, 3, 3, 0, 0, 0, 0, 0, 0, 0
 MEMBER = b"\x1f\x8b\x08"
 #: Bytes of an archive that are inflated at a time.
 FEED = 1 << 14
+#: Bytes that a record's header takes at most.
+HEADER = 1 << 20
+#: Bytes of records, before compression, that a written file holds at most (one record at least): the reader takes a file at a time.
+ARCHIVE_BYTES = 256 << 20
 DATE = "2024-01-01T00:00:00Z"
 
 
@@ -79,8 +84,13 @@ def plan_records(pages: DataFrame, least: int = 0) -> DataFrame:
     return joined.select("page_id", "row", "url", "payload", F.when(again, refers).alias("refers"))
 
 
-def write_archive(pages: DataFrame, path: str, least: int = 0, records_per_file: int = 20_000) -> None:
-    """Writes ``pages`` (page_id, url, html) as gzipped WARC files under ``path``."""
+def write_archive(pages: DataFrame, path: str, least: int = 0, records_per_file: int = 20_000, archive_bytes: int = ARCHIVE_BYTES) -> None:
+    """Writes ``pages`` (page_id, url, html) as gzipped WARC files under ``path``.
+
+    A file holds at most ``records_per_file`` records, and so few that they stay within ``archive_bytes`` even if all are as long as the longest.
+    """
+    most = pages.agg(F.max(F.octet_length(F.col("html").cast("string")) + 2 * F.coalesce(F.octet_length(F.col("url").cast("string")), F.lit(0)))).first()[0] or 0
+    records_per_file = max(1, min(records_per_file, archive_bytes // (most + 2048)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
@@ -129,50 +139,135 @@ def read_record(data: bytes, at: int) -> tuple[dict[str, str], bytes, int] | str
     return head, block, end + 4
 
 
+class RecordWalk:
+    """Walks records whose bytes come in pieces; holds no more than the record that is not whole yet.
+
+    ``feed`` gives ("record", begin, end, headers, block) and ("gap", begin, end, reason, None), in order, by offsets in all bytes fed.
+    """
+
+    def __init__(self):
+        self.held, self.base, self.bad, self.reason = b"", 0, -1, ""
+
+    def _short(self) -> bool:
+        """Whether the record that ``held`` begins with may still become whole."""
+        found = _headers(self.held, 0)
+        if not found:
+            return b"\r\n\r\n" not in self.held and len(self.held) < HEADER and (self.held.startswith(VERSION[:7]) or VERSION.startswith(self.held))
+        size = found[0].get("content-length", "")
+        return bool(re.fullmatch(r"\d{1,18}", size)) and len(self.held) < found[1] + int(size) + 4
+
+    def feed(self, more: bytes, last: bool = False) -> Iterator[tuple]:
+        self.held += more
+        while self.held and (last or not self._short()):
+            got = read_record(self.held, 0)
+            if not isinstance(got, str):
+                if self.bad >= 0:
+                    yield "gap", self.bad, self.base, self.reason, None
+                    self.bad = -1
+                yield "record", self.base, self.base + got[2], got[0], got[1]
+                self._drop(got[2])
+                continue
+            if self.bad < 0:
+                self.bad, self.reason = self.base, got
+            found = _STARTS.search(self.held, 1)
+            if found:
+                self._drop(found.start())
+            else:  # the last bytes may be the beginning of a version line
+                self._drop(len(self.held) if last else max(1, len(self.held) - len(VERSION)))
+                if not last and not self.held.startswith(b"W"):
+                    at = self.held.find(b"W")
+                    self._drop(at if at >= 0 else len(self.held))
+        if last and self.bad >= 0:
+            yield "gap", self.bad, self.base, self.reason, None
+
+    def _drop(self, n: int) -> None:
+        self.held, self.base = self.held[n:], self.base + n
+
+
+def _inflated(data: bytes, at: int) -> Iterator[tuple[bytes, int]]:
+    """(bytes, where the member at ``at`` ends, 0 until that is known) piece by piece; fails on damage, also on a cut."""
+    z, seen = zlib.decompressobj(31), at
+    while not z.eof:
+        if seen >= len(data):
+            raise zlib.error("cut")
+        before = z.copy()
+        try:
+            piece = z.decompress(data[seen : seen + FEED])
+        except zlib.error:  # what stands before the damage, byte by byte
+            for i in range(seen, min(seen + FEED, len(data))):
+                yield before.decompress(data[i : i + 1]), 0
+            raise
+        seen += min(FEED, len(data) - seen)
+        yield piece, seen - len(z.unused_data) if z.eof else 0
+
+
+def _member_end(data: bytes, at: int) -> tuple[int, str]:
+    """Where the gzip member at ``at`` ends, or -1 and what is wrong with it; nothing of it is held."""
+    end = -1
+    try:
+        for _, end in _inflated(data, at):  # noqa: B007
+            pass
+    except zlib.error as e:
+        return -1, "cut member" if str(e) == "cut" else "member"
+    return end, ""
+
+
+def _of_member(data: bytes, at: int, sound: bool) -> Iterator[tuple]:
+    """What the member at ``at`` holds; of one that is not sound only records whose stated block digest is right."""
+    walk = RecordWalk()
+    try:
+        for piece, _ in _inflated(data, at):
+            for x in walk.feed(piece):
+                if sound or x[0] == "record" and x[3].get("warc-block-digest", "").startswith("sha1:"):
+                    yield x
+        yield from walk.feed(b"", True) if sound else ()
+    except zlib.error:
+        return
+
+
 def salvage(data: bytes) -> Iterator[tuple]:
-    """("record", start, end, headers, block) and ("gap", start, end, reason, None), in order, of an archive's bytes.
+    """("record", begin, end, headers, block, inner) and ("gap", begin, end, reason, None, inner) of an archive's bytes.
 
-    Gzipped members and plain records may both occur. Gaps and records never overlap and leave no byte out but
-    those of empty members.
+    Gzipped members, of one record or many, and plain records may all occur. ``inner`` is None for plain records and for gaps of the archive itself. For
+    what stands in a member begin and end are the member's, and ``inner`` the offsets in its inflated bytes. A member that is not sound is a gap
+    from where it begins to the next valid member or version line; whole records before the damage are recovered where their block digest is right, with
+    begin and end both at the member's beginning. Gaps and members leave no byte out but those of empty members.
     """
     at, bad, reason = 0, -1, ""
     while at < len(data):
-        got: tuple | str = "no member or version line"
+        why, stop = "no member or version line", -1
         if data.startswith(MEMBER, at):
-            z, parts, end = zlib.decompressobj(31), [], at
-            try:
-                while not z.eof and end < len(data):
-                    parts.append(z.decompress(data[end : end + FEED]))
-                    end += min(FEED, len(data) - end)
-                end -= len(z.unused_data)
-                body = b"".join(parts)
-                got = "cut member" if not z.eof else ((None, b"", end) if not body else read_record(body, 0))
-                if isinstance(got, tuple) and body:
-                    got = (got[0], got[1], end) if got[2] == len(body) else "more than a record in a member"
-            except zlib.error:
-                got = "member"
+            stop, why = _member_end(data, at)
+            if stop >= 0 and bad >= 0:
+                yield "gap", bad, at, reason, None, None
+                bad = -1
+            for what, a, b, x, block in _of_member(data, at, stop >= 0):
+                yield what, at, max(stop, at), x, block, (a, b)
         elif data.startswith(b"WARC/", at):
             got = read_record(data, at)
-        if isinstance(got, tuple):
-            if bad >= 0:
-                yield "gap", bad, at, reason, None
-                bad = -1
-            if got[0] is not None:
-                yield "record", at, got[2], got[0], got[1]
-            at = got[2]
+            if isinstance(got, str):
+                why = got
+            else:
+                if bad >= 0:
+                    yield "gap", bad, at, reason, None, None
+                    bad = -1
+                stop = got[2]
+                yield "record", at, stop, got[0], got[1], None
+        if stop >= 0:
+            at = stop
             continue
         if bad < 0:
-            bad, reason = at, got
+            bad, reason = at, why
         a = data.find(MEMBER, at + 1)
         m = _STARTS.search(data, at + 1)
         places = [x for x in (a, m.start() if m else -1) if x >= 0]
         at = min(places, default=len(data))
     if bad >= 0:
-        yield "gap", bad, len(data), reason, None
+        yield "gap", bad, len(data), reason, None, None
 
 
 READ_SCHEMA = (
-    "file string, kind string, begin long, end long, reason string, record_type string, record_id string, target_uri string, "
+    "file string, kind string, begin long, end long, inner_begin long, inner_end long, reason string, record_type string, record_id string, target_uri string, "
     "refers_to string, payload_digest string, payload_bytes long, digest_ok boolean, payload binary"
 )
 
@@ -185,7 +280,7 @@ def read_archives(spark: SparkSession, path: str, with_payload: bool = True) ->
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names = [x.split()[0] for x in READ_SCHEMA.split(", ")]
-        kinds = [pa.string(), pa.string(), pa.int64(), pa.int64(), *[pa.string()] * 6, pa.int64(), pa.bool_(), pa.binary()]
+        kinds = [pa.string(), pa.string(), *[pa.int64()] * 4, *[pa.string()] * 6, pa.int64(), pa.bool_(), pa.binary()]
 
         def pack(rows: list[tuple]) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], kinds[i]) for i in range(len(kinds))], names)
@@ -193,9 +288,10 @@ def read_archives(spark: SparkSession, path: str, with_payload: bool = True) ->
         for b in batches:
             for file, data in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 rows, held = [], 0
-                for what, begin, end, head, block in salvage(data.as_py()):
+                for what, begin, end, head, block, inner in salvage(data.as_py()):
+                    a, z = inner or (None, None)
                     if what == "gap":
-                        rows.append((file, what, begin, end, head, *[None] * 8))
+                        rows.append((file, what, begin, end, a, z, head, *[None] * 8))
                     else:
                         http, _, payload = block.partition(b"\r\n\r\n")
                         said = head.get("warc-payload-digest", "").removeprefix("sha1:")
@@ -205,7 +301,7 @@ def read_archives(spark: SparkSession, path: str, with_payload: bool = True) ->
                         else:
                             size, digest = len(payload), sha1_base32(payload)
                             ok = digest == said
-                        rows.append((file, what, begin, end, None, head.get("warc-type"), head.get("warc-record-id"), head.get("warc-target-uri"), head.get("warc-refers-to"), digest, size, ok, payload if with_payload else None))
+                        rows.append((file, what, begin, end, a, z, None, head.get("warc-type"), head.get("warc-record-id"), head.get("warc-target-uri"), head.get("warc-refers-to"), digest, size, ok, payload if with_payload else None))
                         held += len(payload or b"") if with_payload else 100
                     if held > 4 << 20:
                         yield pack(rows)
