@@ -19,6 +19,8 @@ from setdiff.functions import hashing as H
 from setdiff.operators.binparity import with_inst
 from setdiff.session import written
 
+#: Bytes of a filter's bitmap bucket, and of a filter that is broadcast.
+BUCKET_BYTES, BROADCAST_BYTES = 4096, 64 << 20
 CHECK_SEED = H.seed_of(H.CHECK)
 
 
@@ -125,14 +127,41 @@ def peel_rounds(diff: DataFrame, cells: int, k: int, most: int = 40) -> tuple[Da
     return found.select("inst", "sig", side.alias("side")), left
 
 
-def cell_digest(a: DataFrame, b: DataFrame, d_hat: float, grouped: bool = False) -> DataFrame:
-    """(inst, sig, side) of what a table of twice ``d_hat`` cells gives back."""
+def cell_digest_checked(a: DataFrame, b: DataFrame, d_hat: float, grouped: bool = False) -> tuple[DataFrame, DataFrame]:
+    """((inst, sig, side), (inst) of the instances that are not peeled to the end) of a table of twice ``d_hat`` cells."""
     k = hashes_for(d_hat)
     cells = cells_for(d_hat, k)
     diff = subtract(cell_table(a, cells, k), cell_table(b, cells, k))
     if grouped:
-        return peel_grouped(diff, cells, k).where("sig is not null").select("inst", "sig", "side")
-    return peel_rounds(diff, cells, k)[0]
+        got = written(peel_grouped(diff, cells, k), "peeled")
+        return got.where("sig is not null").select("inst", "sig", "side"), got.where("not complete").select("inst").distinct()
+    found, left = peel_rounds(diff, cells, k)
+    return found, left.select("inst").distinct()
+
+
+def cell_digest(a: DataFrame, b: DataFrame, d_hat: float, grouped: bool = False, complete: bool = False, doublings: int = 6) -> DataFrame:
+    """(inst, sig, side) of what a table of twice ``d_hat`` cells gives back; it is partial where peeling stalls (see ``cell_digest_checked``).
+
+    With ``complete``, instances that stall are done again with twice the cells, and after ``doublings`` of that by full exchange.
+    """
+    from setdiff.operators.relational import symmetric_difference
+
+    a, b = with_inst(a), with_inst(b)
+    found, stalled = cell_digest_checked(a, b, d_hat, grouped)
+    if not complete:
+        return found
+    out = None
+    for k in range(doublings + 1):
+        stalled = written(stalled, "stalled")
+        sound = found.join(F.broadcast(stalled), "inst", "left_anti").select("inst", "sig", "side")
+        out = sound if out is None else out.union(sound)
+        if stalled.isEmpty():
+            return out
+        a, b = (x.join(F.broadcast(stalled), "inst", "left_semi") for x in (a, b))
+        d_hat *= 2
+        if k < doublings:
+            found, stalled = cell_digest_checked(a, b, d_hat, grouped)
+    return out.union(symmetric_difference(a, b, ["inst", "sig"]).select("inst", "sig", "side"))
 
 
 # The filter: bits are classes of k hashes; a signature passes if all its bits are set.
@@ -159,11 +188,22 @@ def filter_message(df: DataFrame, bits: int, k: int) -> DataFrame:
     return rows.groupBy("inst", F.bitmap_bucket_number(F.col("pos") + 1).alias("bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(F.col("pos") + 1)).alias("bits"))
 
 
-def passes(df: DataFrame, set_bits: DataFrame, bits: int, k: int) -> DataFrame:
-    """Rows of ``df`` whose bits are all set."""
-    rows = with_inst(df).select("inst", "sig", F.explode(F.array_distinct(filter_positions(bits, k))).alias("pos"))
-    hit = rows.join(set_bits.withColumn("_set", F.lit(1)), ["inst", "pos"], "left")
-    return hit.groupBy("inst", "sig").agg(F.min(F.coalesce("_set", F.lit(0))).alias("_all")).where("_all = 1").select("inst", "sig")
+def passes(df: DataFrame, message: DataFrame, bits: int, k: int, family: str = "fast") -> DataFrame:
+    """Rows of ``df`` (inst, sig) whose bits are all set in ``message`` (see ``filter_message``).
+
+    One join a hash function on the bucket, each dropping the rows whose bit is not set: rows are neither multiplied nor grouped. A message of up to
+    BROADCAST_BYTES is broadcast, so ``df`` stays where it is; a larger one is joined by shuffle.
+    """
+    message = written(message, "filter")
+    if message.count() * BUCKET_BYTES <= BROADCAST_BYTES:
+        message = F.broadcast(message)
+    rows = with_inst(df).select("inst", "sig")
+    for i in range(k):
+        at = H.bucket("sig", H.seed_of(H.FILTER, i), bits, family) + 1
+        keyed = rows.withColumn("bucket", F.bitmap_bucket_number(at)).withColumn("_p", F.bitmap_bit_position(at))
+        byte = F.conv(F.hex(F.substring("bits", (F.col("_p") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+        rows = keyed.join(message, ["inst", "bucket"]).where(F.getbit(byte, (F.col("_p") % 8).cast("int")) == 1).select("inst", "sig")
+    return rows
 
 
 def best_rate(size_b: int, d: float, cell_bits: float = 192.0) -> float:
@@ -181,18 +221,21 @@ def passing(rate: float, d: float) -> float:
     return rate * d + 3 * sqrt(rate * d) + 8
 
 
-def filter_cells(a: DataFrame, b: DataFrame, d_hat: float, size_b: int, grouped: bool = False) -> tuple[DataFrame, dict]:
-    """(inst, sig, side), and what was sent: B's filter, if it pays, rids A of most of what B lacks; a cell table settles the rest."""
+def filter_cells(a: DataFrame, b: DataFrame, d_hat: float, size_b: int, grouped: bool = False, complete: bool = False) -> tuple[DataFrame, dict]:
+    """(inst, sig, side), and what was sent: B's filter, if it pays, rids A of most of what B lacks; a cell table settles the rest.
+
+    ``complete`` is that of ``cell_digest``; without it the result is partial where peeling stalls.
+    """
     a, b = with_inst(a), with_inst(b)
     rate = best_rate(size_b, d_hat)
     if rate >= 1:
         k = hashes_for(d_hat)
         cells = cells_for(d_hat, k)
-        return cell_digest(a, b, d_hat, grouped), {"filter_bits": 0, "cells": cells}
+        return cell_digest(a, b, d_hat, grouped, complete), {"filter_bits": 0, "cells": cells}
     bits, fk = filter_shape(size_b, rate)
-    kept = passes(a, filter_rows(b, bits, fk), bits, fk)
+    kept = passes(a, filter_message(b, bits, fk), bits, fk)
     kept = written(kept, "passed")
     gone = a.join(kept, ["inst", "sig"], "left_anti").withColumn("side", F.lit("A_only"))
     rest = passing(rate, d_hat)
     k = hashes_for(rest)
-    return gone.union(cell_digest(kept, b, rest, grouped)), {"filter_bits": bits, "cells": cells_for(rest, k)}
+    return gone.union(cell_digest(kept, b, rest, grouped, complete)), {"filter_bits": bits, "cells": cells_for(rest, k)}

@@ -209,23 +209,58 @@ def _sides(a: DataFrame, sigs: DataFrame) -> DataFrame:
     return sigs.join(mine, ["inst", "sig"], "left").select("inst", "sig", F.when(F.col("_in"), "A_only").otherwise("B_only").alias("side"))
 
 
-def whole_syndrome(a: DataFrame, b: DataFrame, t: int) -> DataFrame:
-    """(inst, sig, side); an instance with more than t differences gives nothing."""
+def verified(a: DataFrame, b: DataFrame, found: DataFrame, keys: list[str]) -> DataFrame:
+    """(keys) whose sums of signatures agree once the differences ``found`` (keys, sig, side) are taken out; sums are exact decimals."""
+    sign = lambda s: F.sum(F.col("sig").cast("decimal(20,0)") * s).alias("_s")
+    of = F.when(F.col("side") == "A_only", F.lit(-1)).otherwise(F.lit(1))
+    parts = [x.groupBy(*keys).agg(sign(s)) for x, s in ((a, F.lit(1)), (b, F.lit(-1)), (found, of))]
+    return parts[0].union(parts[1]).union(parts[2]).groupBy(*keys).agg(F.sum("_s").alias("_s")).where("_s = 0").select(*keys)
+
+
+def whole_syndrome_checked(a: DataFrame, b: DataFrame, t: int) -> tuple[DataFrame, DataFrame]:
+    """((inst, sig, side), (inst, ok)): instances with over t differences, or whose checksums don't agree afterwards, give nothing and are not ok."""
     a, b = S.with_inst(a), S.with_inst(b)
     got = written(decode(_both(a, b, ["inst"], t), ["inst"], t), "whole")
-    return _sides(a, got.where("ok").select("inst", F.explode("sigs").alias("sig")))
+    sided = written(_sides(a, got.where("ok").select("inst", F.explode("sigs").alias("sig"))), "sided")
+    right = written(verified(a, b, sided, ["inst"]).join(got.where("ok"), "inst", "left_semi"), "right")
+    status = got.select("inst").join(right.withColumn("ok", F.lit(True)), "inst", "left").select("inst", F.coalesce("ok", F.lit(False)).alias("ok"))
+    return sided.join(F.broadcast(right), "inst", "left_semi").select("inst", "sig", "side"), status
+
 
+def whole_syndrome(a: DataFrame, b: DataFrame, t: int, complete: bool = False) -> DataFrame:
+    """(inst, sig, side); an instance that fails (see ``whole_syndrome_checked``) gives nothing, or with ``complete`` is exchanged in full."""
+    from setdiff.operators.relational import symmetric_difference
 
-def grouped_syndrome(a: DataFrame, b: DataFrame, p: Params, most_rounds: int = 12) -> tuple[DataFrame, DataFrame]:
-    """(diff, rounds): the code inside each hash group; groups that fail are split. ``rounds``: (inst, round, root, path, ok, n)."""
+    a, b = S.with_inst(a), S.with_inst(b)
+    found, status = whole_syndrome_checked(a, b, t)
+    if not complete:
+        return found
+    failed = written(status.where("not ok").select("inst"), "failed")
+    if failed.isEmpty():
+        return found
+    x, y = (d.join(F.broadcast(failed), "inst", "left_semi") for d in (a, b))
+    return found.union(symmetric_difference(x, y, ["inst", "sig"]).select("inst", "sig", "side"))
+
+
+def grouped_syndrome(a: DataFrame, b: DataFrame, p: Params, most_rounds: int = 64) -> tuple[DataFrame, DataFrame]:
+    """(diff, rounds): the code inside each hash group; groups that fail, or whose checksums don't agree afterwards, are split.
+
+    ``rounds``: (inst, round, root, path, ok, n). Groups that are not ok in the last round, of which there are none unless the rounds are capped
+    (``p.max_rounds``), are left out of the diff; ``unresolved`` names their instances.
+    """
     a, b = S.with_inst(a), S.with_inst(b)
     found = log = open_ = None
     n_open = levels = 0
     for k in range(1, (p.max_rounds or most_rounds) + 1):
         x, y = (S.with_node(d, p, open_, levels, n_open) for d in (a, b))
-        got = written(decode(_both(x, y, NODE, p.t), NODE, p.t).withColumn("round", F.lit(k)), "grouped")
+        got = decode(_both(x, y, NODE, p.t), NODE, p.t).withColumn("round", F.lit(k))
+        got = written(got, "grouped")
         sigs = got.where("ok").select(*NODE, F.explode("sigs").alias("sig"))
-        sigs = sigs.where((S.root_of(p) == F.col("root")) & S.split_path(p, levels).startswith(F.col("path"))).select("inst", "sig")
+        sigs = sigs.where((S.root_of(p) == F.col("root")) & S.split_path(p, levels).startswith(F.col("path")))
+        sided = written(sigs.join(_sides(a, written(sigs.select("inst", "sig").distinct(), "sigs")), ["inst", "sig"]).select(*NODE, "sig", "side"), "sided")
+        right = verified(x.select(*NODE, "sig"), y.select(*NODE, "sig"), sided, NODE).withColumn("_right", F.lit(True))
+        got = written(got.join(right, NODE, "left").withColumn("ok", F.col("ok") & F.coalesce("_right", F.lit(False))).drop("_right"), "checked")
+        sigs = sided.join(got.where("ok").select(*NODE), NODE, "left_semi").select("inst", "sig", "side")
         found = sigs if found is None else found.union(sigs)
         one = got.select("inst", "round", "root", "path", "ok", F.size("sigs").alias("n"))
         log = one if log is None else log.union(one)
@@ -234,5 +269,11 @@ def grouped_syndrome(a: DataFrame, b: DataFrame, p: Params, most_rounds: int = 1
         n_open, levels = open_.agg(F.count(F.lit(1)), F.coalesce(F.max(F.length("path")), F.lit(0))).first()
         if not n_open:
             break
-    return _sides(a, written(found.distinct(), "sigs")), log
+    return found.distinct(), log
+
+
+def unresolved(log: DataFrame) -> DataFrame:
+    """(inst) of the instances with groups that the last round of ``grouped_syndrome`` left open."""
+    last = log.agg(F.max("round").alias("round"))
+    return log.join(F.broadcast(last), "round", "left_semi").where("not ok").select("inst").distinct()
 

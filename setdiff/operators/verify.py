@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from setdiff.plans.params import Params
 
+#: Signatures of a leaf of the hash tree, children of a node, levels above the leaves.
+LEAF, FANOUT, LEVELS = 256, 64, 6
 KINDS = ("sum", "hashed_sum", "mset_xor")
 
 
@@ -48,17 +50,31 @@ def multiset_hash(df: DataFrame) -> DataFrame:
     return df.agg(*lanes, F.count(F.lit(1)).alias("n"))
 
 
-def merkle_leaves(df: DataFrame, leaves: int) -> DataFrame:
-    """(leaf, hash): md5 of the ordered signatures with each remainder; choose ``leaves`` so that a leaf stays small."""
+def leaves_for(df: DataFrame) -> int:
+    """Leaves that hold about LEAF signatures each, however many there are."""
+    return max(1, -(-df.count() // LEAF))
+
+
+def merkle_leaves(df: DataFrame, leaves: int | None = None) -> DataFrame:
+    """(leaf, hash): md5 of the ordered signatures with each remainder; without ``leaves`` as many as the count asks for.
+
+    Remainders of signatures that were not mixed may be uneven; hash them first.
+    """
+    leaves = leaves or leaves_for(df)
     text = F.array_join(F.transform(F.array_sort(F.collect_list("sig")), lambda s: s.cast("string")), ",")
     return df.groupBy((F.col("sig") % leaves).alias("leaf")).agg(F.md5(text).alias("hash"))
 
 
-def merkle_root(df: DataFrame, leaves: int = 64, fanout: int = 8) -> DataFrame:
-    """(hash): root of the tree over ``merkle_leaves``."""
-    level, n = merkle_leaves(df, leaves), leaves
-    while n > 1:
+def merkle_root(df: DataFrame, leaves: int | None = None, fanout: int = FANOUT, levels: int = LEVELS) -> DataFrame:
+    """(hash): root of the tree over ``merkle_leaves``, ``levels`` levels above the leaves whatever their number (at most fanout**levels).
+
+    Both hosts have to use the same ``leaves``; by default each takes its own count's, so sets of sizes far apart differ at once.
+    """
+    leaves = leaves or leaves_for(df)
+    if leaves > fanout**levels:
+        raise ValueError(f"{leaves} leaves need more than {levels} levels of {fanout}")
+    level = merkle_leaves(df, leaves)
+    for _ in range(levels):
         joined = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("leaf", "hash"))), lambda x: x["hash"]), "")
         level = level.groupBy(F.floor(F.col("leaf") / fanout).alias("leaf")).agg(F.md5(joined).alias("hash"))
-        n = -(-n // fanout)
     return level.select("hash")

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from functools import partial
+from math import ceil
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -53,17 +54,18 @@ def _run_bin_parity(name: str, spark: SparkSession, sf: str, **more) -> DataFram
 
 
 def _scheme(name: str, scheme: str, spark: SparkSession, sf: str) -> DataFrame:
+    """The published settings: whole-set capacity the inflated estimate, two cells for each of the plain estimate; what fails is done again, so that the result is whole."""
     a, b = _pair(name, spark, sf)
     d = max(1.0, P.estimate_or(None, a, b) or 1.0)
     if scheme == "full_exchange":
         return R.full_exchange(a, b)
     if scheme == "whole_syndrome":
-        return Y.whole_syndrome(a, b, int(1.3 * d) + 8).select("sig", "side")
+        return Y.whole_syndrome(a, b, ceil(d), complete=True).select("sig", "side")
     if scheme == "grouped_syndrome":
         return Y.grouped_syndrome(a, b, published(d))[0].select("sig", "side")
     if scheme == "cell_table":
-        return C.cell_digest(a, b, d + 30).select("sig", "side")
-    return C.filter_cells(a, b, d + 30, b.count())[0].select("sig", "side")
+        return C.cell_digest(a, b, d / E.GAMMA, complete=True).select("sig", "side")
+    return C.filter_cells(a, b, d / E.GAMMA, b.count(), complete=True)[0].select("sig", "side")
 
 
 def _keyed(name: str, side: int, spark: SparkSession, sf: str, p: Params = PORTABLE) -> DataFrame:
@@ -276,7 +278,18 @@ def _plan(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _merkle(spark: SparkSession, sf: str) -> DataFrame:
-    return V.merkle_leaves(_pair("w3", spark, sf)[0], 64)
+    return V.merkle_leaves(_pair("w3", spark, sf)[0])
+
+
+_LEAVES = f"(select greatest(1, (count(*) + {V.LEAF - 1}) // {V.LEAF}) from ({_W3A}))"
+_MERKLE_SQL = f"select sig % {_LEAVES} as leaf, md5(string_agg(cast(sig as varchar), ',' order by sig)) as hash from ({_W3A}) group by 1"
+
+
+def _merkle_root_sql() -> str:
+    sql = _MERKLE_SQL
+    for _ in range(V.LEVELS):
+        sql = f"select leaf // {V.FANOUT} as leaf, md5(string_agg(hash, '' order by leaf)) as hash from ({sql}) group by 1"
+    return f"select hash from ({sql})"
 
 
 def _rounds(spark: SparkSession, sf: str) -> DataFrame:
@@ -334,7 +347,56 @@ def _filter(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _metrics_pivot(spark: SparkSession, sf: str) -> DataFrame:
-    return R.pivot_report(X.signature_lengths(spark), "scheme", "w", "ratio", [32, 64, 256])
+    wide = R.pivot_report(X.signature_lengths(spark).withColumn("ratio", F.round("ratio", 9)), "scheme", "w", "ratio", [32, 64, 256])
+    return wide.select("scheme", *[F.col(str(w)).alias(f"w{w}") for w in (32, 64, 256)])
+
+
+# SQL twins of the cost formulas; only the tuned parameters (groups, bins, capacity) come from the library.
+
+_CELLS_SQL = "(ceil(2 * ({d}) / k) * k)"
+_RATE_SQL = "({size} / (power(ln(2), 2) * 192 * ({d})))"
+_FILTER_SQL = "greatest(64, ceil({size} * ln(1 / rate) / power(ln(2), 2)))"
+_REST_SQL = "(ceil(2 * (rate * ({d}) + 3 * sqrt(rate * ({d})) + 8) / 4) * 4)"
+
+
+def _lengths_sql(d: int = 1000) -> str:
+    p = T.tuned(E.GAMMA * d, 5, 3, 0.99)
+    bits = {
+        "bin_parity": f"{p.g} * ({p.t} * log2({p.n + 1}) + w) + {d} * (log2({p.n + 1}) + w)", "grouped_syndrome": f"{p.g} * ({p.t} * w + w)",
+        "whole_syndrome": f"ceil(1.38::double * {d}) * w", "cell_table": f"{_CELLS_SQL.format(d=d)} * 3 * w",
+    }
+    rows = " union all ".join(f"select w::int as w, '{s}' as scheme, round(({x}) / ({d}.0::double * w), 9) as ratio from v" for s, x in bits.items())
+    return f"with v as (select w, {3 if d > 200 else 4}::double as k from (values (32), (64), (256)) t(w)) {rows}"
+
+
+def _filter_use_sql(size: int = 1_000_000) -> str:
+    v = f"select d, case when d > 200 then 3 else 4 end::double as k, {_RATE_SQL.format(size=f'({size} - d)', d='d')} as rate from (values (1000), (5000), (10000), (12000), (16000), (30000), (100000)) t(d)"
+    bits = f"case when rate >= 1 then {_CELLS_SQL.format(d='d')} * 96 else {_FILTER_SQL.format(size=f'({size} - d)')} + {_REST_SQL.format(d='d')} * 96 end"
+    return f"select d::bigint as d, rate < 1 as filter_used, ({bits}) / 8 as model_bytes from ({v})"
+
+
+def _plan_sql() -> str:
+    rows = []
+    for d in (10, 1000, 100_000):
+        p, size = T.tuned(max(1.0, E.GAMMA * d)), 10**6 - d
+        e = f"(1.38::double * {d})"
+        v = f"select {3 if E.GAMMA * d > 200 else 4}::double as k, {_RATE_SQL.format(size=size, d=e)} as rate"
+        cells = f"{_CELLS_SQL.format(d=e)} * 96"
+        bits = {
+            "full_exchange": f"{size} * 32", "whole_syndrome": f"ceil({e}) * 32", "cell_table": cells, "bin_parity": f"{p.g} * ({p.t} * log2({p.n + 1}) + 32) + {e} * (log2({p.n + 1}) + 32)",
+            "grouped_syndrome": f"{p.g} * ({p.t} * 32 + 32)", "filter_cells": f"case when rate >= 1 then {cells} else {_FILTER_SQL.format(size=size)} + {_REST_SQL.format(d=e)} * 96 end",
+        }
+        rows += [f"select {d}::bigint as d, '{s}' as scheme, round_even(({x})::double, 0) as bits from ({v})" for s, x in bits.items()]
+    every = " union all ".join(rows)
+    return f"with v as ({every}) select d, scheme, bits, (select arg_min(scheme, bits) from v u where u.d = v.d and u.scheme in ('full_exchange', 'bin_parity')) as chosen from v"
+
+
+def _capacity_sql(d: int = 1000, delta: int = 5) -> str:
+    p, g = published(d), groups_for(d, delta)
+    pmf = f"exp(lgamma({d + 1}) - lgamma(x + 1) - lgamma({d} - x + 1) + x * ln(1.0 / {g}) + ({d} - x) * ln(1 - 1.0 / {g}))"
+    saved = f"(select sum({pmf} * ({p.t} - x)) from range({p.t}) r(x)) * {g} * {p.m}"
+    whole = f"{g * p.t * p.m}::double"
+    return f"select 'uniform' as plan, {whole} as bits union all select 'per_group', round({whole} - {saved} + {g} * {E.ELL} * ceil(log2(2 * {1_000_000 // g} + 1)), 6)"
 
 
 _CHAT = ["conv_id", "turn", "text"]
@@ -387,7 +449,8 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["checksums_w3"] = (lambda s, d: V.checksum(_keyed("w3", 0, s, d), ["root"]).select("root", F.col("chk").cast("long").alias("chk"))), f"select root, cast(sum(sig) % 4294967296 as bigint) as chk from {_KEYED_A} group by root"
     q["codeword_w3_m7"] = _codeword, _lanes_sql()
     q["multiset_hash_w3"] = _multiset, _MULTISET_SQL
-    q["merkle_leaves_w3"] = _merkle, f"select sig % 64 as leaf, md5(string_agg(cast(sig as varchar), ',' order by sig)) as hash from ({_W3A}) group by 1"
+    q["merkle_leaves_w3"] = _merkle, _MERKLE_SQL
+    q["merkle_root_w3"] = (lambda s, d: V.merkle_root(_pair("w3", s, d)[0])), _merkle_root_sql()
     q["exceptions_by_type_w3"] = _exceptions, _EXCEPTIONS_SQL
     q["tow_sketch_w3"] = partial(_tow, "w3", 0), _tow_sql(_W3A)
     q["tow_estimate_w3"] = _tow_estimate, f"select sum((a.y - b.y) * (a.y - b.y)) / {float(TOW_ELL)} as d_hat from ({_tow_sql(_W3A)}) a join ({_tow_sql(_W3B)}) b using (idx)"
@@ -410,7 +473,7 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["sql_functions"] = _sql_surface, f"select sig, root, bin from (select sig, {_ROOT} as root, {_BIN} as bin from ({_W3A}))"
     q["relay_windows_batch"] = _relay_batch, _RELAY_SQL
     q["relay_windows_stream"] = _relay_stream, _RELAY_SQL
-    q["planner_bits"] = _plan, None
+    q["planner_bits"] = _plan, _plan_sql()
     q["estimators_w3"] = _estimators, None
     q["f2_users"] = _f2, None
     q["share_by_round_w3"] = _rounds, None
@@ -418,14 +481,14 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["x1_decode_growth"] = (lambda s, d: X.decode_growth(s)), None
     q["x2_filter_cells"] = (lambda s, d: X.compare(s, d, ("bin_parity", "filter_cells"), (10, 100), p0=239 / 240)), None
     q["x3_grouped_syndrome"] = (lambda s, d: X.compare(s, d, ("bin_parity", "grouped_syndrome"), (30,), count=10)), None
-    q["x4_signature_lengths"] = (lambda s, d: X.signature_lengths(s)), None
-    q["x4_pivot"] = _metrics_pivot, None
+    q["x4_signature_lengths"] = (lambda s, d: X.signature_lengths(s).withColumn("ratio", F.round("ratio", 9))), _lengths_sql()
+    q["x4_pivot"] = _metrics_pivot, f"select scheme, {', '.join(f'max(ratio) filter (where w = {w}) as w{w}' for w in (32, 64, 256))} from ({_lengths_sql()}) group by scheme"
     q["x6_delta"] = (lambda s, d: X.delta_sweep(s, d)), None
     q["x7_shares"] = (lambda s, d: X.measured_shares(s, d)), None
     q["x8_estimator"] = (lambda s, d: X.estimator_accuracy(s)), None
     q["x9_split_ways"] = (lambda s, d: X.split_ways(s)), None
     q["x10_bin_kinds"] = (lambda s, d: X.bin_kinds(s)), None
     q["x11_fake_candidates"] = (lambda s, d: X.fake_candidates(s, d)), None
-    q["x12_filter_use"] = (lambda s, d: X.filter_use(s)), None
-    q["per_group_capacity"] = (lambda s, d: X.per_group_capacity(s)), None
+    q["x12_filter_use"] = (lambda s, d: X.filter_use(s)), _filter_use_sql()
+    q["per_group_capacity"] = (lambda s, d: X.per_group_capacity(s).withColumn("bits", F.round("bits", 6))), _capacity_sql()
     return q

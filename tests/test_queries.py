@@ -8,7 +8,7 @@ from setdiff.queries import registry
 
 QUICK = [
     "signatures_orders", "portable_rowhash_lineitem", "bins_w3", "parity_bins_w3", "bitmap_diff_w3", "decoded_bins_w3", "xor_sums_w3", "checksums_w3", "codeword_w3_m7",
-    "multiset_hash_w3", "merkle_leaves_w3", "exceptions_by_type_w3", "tow_sketch_w3", "tow_estimate_w3", "cell_table_cells_w3", "filter_bits_w4", "p_ideal", "transition_matrix_n127_t5",
+    "multiset_hash_w3", "merkle_leaves_w3", "merkle_root_w3", "planner_bits", "x4_signature_lengths", "x4_pivot", "x12_filter_use", "per_group_capacity", "cell_table_w3", "filter_cells_w4", "whole_syndrome_w5", "grouped_syndrome_w3", "exceptions_by_type_w3", "tow_sketch_w3", "tow_estimate_w3", "cell_table_cells_w3", "filter_bits_w4", "p_ideal", "transition_matrix_n127_t5",
     "binomial_tail", "bits_per_group_grid", "overhead_formula_grid", "tuning_optimum", "expected_share_by_round", "comm_ledger_full_exchange_w3", "metrics_rollup", "cumulative_share",
     "topk_params", "asof_latest_events", "interval_match_events", "sql_functions", "relay_windows_batch", "bin_parity_w12", "bin_parity_w13", "bin_parity_w256_w13", "bin_parity_w8", "full_exchange_w9", "bin_parity_auto_w15",
 ]

@@ -262,3 +262,61 @@ def test_plan_shape(spark, sf):
 def test_seeds_differ():
     seen = {H.seed_of(p, i, s) for p in range(7) for i in range(50) for s in range(3)}
     assert len(seen) == 7 * 50 * 3
+
+
+def _many(spark, per):
+    """Instances inst -> (a, b) as two frames (inst, sig)."""
+    return tuple(spark.createDataFrame([(i, s) for i, ab in per.items() for s in ab[k]], "inst long, sig long") for k in (0, 1))
+
+
+def test_baselines_say_where_they_fail(spark):
+    """Each baseline is given too little room for one instance of two: the other is right, the failure is flagged, and completion makes the result whole."""
+    per = {1: (range(1, 300), range(4, 300)), 2: (range(1, 300), range(80, 310))}
+    a, b = _many(spark, per)
+    want = {i: {(s, "A_only") for s in set(x) - set(y)} | {(s, "B_only") for s in set(y) - set(x)} for i, (x, y) in per.items()}
+    of = lambda df, i: {(r["sig"], r["side"]) for r in df.where(f"inst = {i}").collect()}
+    found, status = Y.whole_syndrome_checked(a, b, 10)
+    assert of(found, 1) == want[1] and of(found, 2) == set() and {r["inst"]: r["ok"] for r in status.collect()} == {1: True, 2: False}
+    whole = Y.whole_syndrome(a, b, 10, complete=True)
+    assert all(of(whole, i) == want[i] for i in want)
+    for grouped in (False, True):
+        found, stalled = C.cell_digest_checked(a, b, 12, grouped)
+        assert [r["inst"] for r in stalled.collect()] == [2] and of(found, 1) == want[1] and of(found, 2) != want[2]
+        whole = C.cell_digest(a, b, 12, grouped, complete=True, doublings=1)
+        assert all(of(whole, i) == want[i] for i in want)
+    capped, log = Y.grouped_syndrome(a, b, Params(g=2, t=6, max_rounds=1))
+    assert [r["inst"] for r in Y.unresolved(log).collect()] == [2] and of(capped, 1) == want[1]
+    whole, log = Y.grouped_syndrome(a, b, Params(g=2, t=6))
+    assert Y.unresolved(log).isEmpty() and all(of(whole, i) == want[i] for i in want)
+
+
+def test_checksum_refuses_wrong_differences(spark):
+    a, b = _many(spark, {1: (range(1, 20), range(3, 20)), 2: (range(1, 20), range(2, 20))})
+    claim = spark.createDataFrame([(1, 1, "A_only"), (1, 2, "A_only"), (2, 7, "A_only")], "inst long, sig long, side string")
+    assert [r["inst"] for r in Y.verified(a, b, claim, ["inst"]).collect()] == [1]
+
+
+def test_filter_passes_by_brute_force(spark, monkeypatch):
+    """What passes is what the set bits say, with the message broadcast or joined by shuffle, over several buckets; the set is neither exploded nor grouped."""
+    x, y = sets(spark, range(1, 3000), range(1, 3000, 3))
+    bits, k = 100_000, 3
+    message = C.filter_message(y, bits, k)
+    assert message.count() == 4
+    on = {r["pos"] for r in C.filter_rows(y, bits, k).collect()}
+    at = {r["sig"]: set(r["p"]) for r in x.select("sig", C.filter_positions(bits, k).alias("p")).collect()}
+    want = {s for s, p in at.items() if p <= on}
+    assert set(range(1, 3000, 3)) <= want
+    for most in (64 << 20, 0):
+        monkeypatch.setattr(C, "BROADCAST_BYTES", most)
+        df = C.passes(x, message, bits, k)
+        assert {r["sig"] for r in df.collect()} == want
+        plan = df._jdf.queryExecution().optimizedPlan().toString()
+        assert "Generate" not in plan and "Aggregate" not in plan
+
+
+def test_hash_tree_follows_the_count(spark):
+    x = sets(spark, range(1, 2001), [1])[0]
+    leaves = V.merkle_leaves(x).collect()
+    assert len(leaves) == 8 == V.leaves_for(x)
+    with pytest.raises(ValueError, match="levels"):
+        V.merkle_root(x, leaves=65, levels=1)
