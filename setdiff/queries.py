@@ -477,10 +477,10 @@ def registry() -> dict[str, tuple[Query, str | None]]:
     q["estimators_w3"] = _estimators, None
     q["f2_users"] = _f2, None
     q["share_by_round_w3"] = _rounds, None
-    q["x1_whole_and_cells"] = (lambda s, d: X.compare(s, d, ("bin_parity", "whole_syndrome", "cell_table"), (10, 30))), None
+    q["x1_whole_and_cells"] = (lambda s, d: X.compare(s, d, ("bin_parity", "whole_syndrome", "cell_table"), (10, 100, 1000), count=100, most={"whole_syndrome": 10})), None
     q["x1_decode_growth"] = (lambda s, d: X.decode_growth(s)), None
-    q["x2_filter_cells"] = (lambda s, d: X.compare(s, d, ("bin_parity", "filter_cells"), (10, 100), p0=239 / 240)), None
-    q["x3_grouped_syndrome"] = (lambda s, d: X.compare(s, d, ("bin_parity", "grouped_syndrome"), (30,), count=10)), None
+    q["x2_filter_cells"] = (lambda s, d: X.compare(s, d, ("bin_parity", "filter_cells"), (100, 1000, 5000), count=40, p0=239 / 240)), None
+    q["x3_grouped_syndrome"] = (lambda s, d: X.compare(s, d, ("bin_parity", "grouped_syndrome"), (30, 100, 1000), count=20)), None
     q["x4_signature_lengths"] = (lambda s, d: X.signature_lengths(s).withColumn("ratio", F.round("ratio", 9))), _lengths_sql()
     q["x4_pivot"] = _metrics_pivot, f"select scheme, {', '.join(f'max(ratio) filter (where w = {w}) as w{w}' for w in (32, 64, 256))} from ({_lengths_sql()}) group by scheme"
     q["x6_delta"] = (lambda s, d: X.delta_sweep(s, d)), None

@@ -53,3 +53,13 @@ def test_experiments_order_schemes(spark, sf):
     assert ms["whole_syndrome", 400] > 4 * ms["bin_parity", 400] and ms["whole_syndrome", 400] > 10 * ms["whole_syndrome", 50]
     rows = {r["scheme"]: r for r in X.compare(spark, sf, ("bin_parity", "cell_table"), (20,), count=10, size=300).collect()}
     assert rows["bin_parity"]["ratio"] < 3 and rows["bin_parity"]["success"] >= 0.9 and rows["cell_table"]["ratio"] > 5
+
+
+def test_filter_wins_at_large_differences(spark, sf):
+    """On either side of the break-even: cells alone cost more than bin parity, with the filter for many differences less. Points over half the set are left out."""
+    from setdiff import experiments as X
+
+    got = X.compare(spark, sf, ("bin_parity", "filter_cells"), (10, 500, 900), count=4, most={"filter_cells": 500}).collect()
+    ratio = {(r["scheme"], r["d"]): r["ratio"] for r in got}
+    assert set(ratio) == {(s, d) for s in ("bin_parity", "filter_cells") for d in (10, 500)}
+    assert ratio["filter_cells", 10] > ratio["bin_parity", 10] and ratio["filter_cells", 500] < ratio["bin_parity", 500]
