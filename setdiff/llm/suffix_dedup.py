@@ -479,8 +479,10 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     marks = keep(marks, "marks")
     # Texts are read only where a stretch has to be cut or counted: copies are known to go, and to be one run of words.
     cut = marks.where("(_gone is not null and _all is null) or (_words is not null and not coalesce(_all_words, false))")
-    cut = bounded_broadcast(cut, 100_000)
-    texts = keyed.select("t1", "t2", "raw").join(cut, ["t1", "t2"]).groupBy("t1", "t2").agg(*[F.first(c).alias(c) for c in ("raw", "_gone", "_words")])
+    # only keys are broadcast, never stretches, whose number a row is not bounded
+    some = bounded_broadcast(cut.select("t1", "t2"), 100_000)
+    texts = keyed.select("t1", "t2", "raw").join(some, ["t1", "t2"], "left_semi").groupBy("t1", "t2").agg(F.first("raw").alias("raw"))
+    texts = texts.join(cut.hint("merge").select("t1", "t2", "_gone", "_words"), ["t1", "t2"])
     texts = texts.select("t1", "t2", "raw", "_gone.a", "_gone.b", F.col("_words.a").alias("wa"), F.col("_words.b").alias("wb"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
