@@ -246,6 +246,27 @@ def test_index_finds_all_within_radius():
     assert set(zip(w.tolist(), i.tolist(), strict=True)) == set(zip(a.tolist(), b.tolist(), strict=True))
 
 
+def test_edited_items_are_found():
+    """Items copied with scattered one-word edits, by exact similarity from 0.8 up; what the radius misses is below one in a hundred."""
+    rng, made, found, wrong = random.Random(8), 0, 0, 0
+    for i in range(60):
+        item = [f"w{rng.randrange(10**6)}" for _ in range(rng.randint(40, 120))]
+        index = decontaminate.ItemIndex([(i, " ".join(item))])
+        for edits in range(1, 4):
+            copy = list(item)
+            for at in rng.sample(range(len(copy)), edits):
+                copy[at] = f"v{rng.randrange(10**6)}"
+            k = len(item) - 4
+            both = sum((Counter(tuple(item[j : j + 5]) for j in range(k)) & Counter(tuple(copy[j : j + 5]) for j in range(k))).values())
+            got = index.find("one two three " + " ".join(copy) + " four five six", 0.8)
+            if both / (2 * k - both) >= 0.8:
+                made, found = made + 1, found + bool(got)
+            elif not got:
+                continue
+            wrong += any(x[1] < 0.8 for x in got)
+    assert made > 50 and found >= 0.99 * made and not wrong
+
+
 def test_leak_edge_cases(spark, docs):
     item = " ".join(f"word{i}" for i in range(40))
     bench = spark.createDataFrame([(1, item), (2, None), (3, ""), (4, "Three Odd Words"), (5, "  ...  "), (1, item)], "item_id long, text string")
