@@ -24,7 +24,7 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one row of each group of near copies (five-word shingles, similarity 0.8): the smallest doc_id, nulls last."""
+    """Keeps one row of each group of near copies (five-word shingles; candidates by SimHash, and by min-hash beyond its radius; similarity 0.8): the smallest doc_id, nulls last."""
     return near_copies.keep_one(docs, size=5, similarity=0.8)
 
 

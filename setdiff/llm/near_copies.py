@@ -1,9 +1,10 @@
-"""Near copies by exact Jaccard similarity of word shingles; one row of each group is kept.
+"""Near copies by SimHash and exact Jaccard similarity of word shingles; one row of each group is kept.
 
-Texts at similarity 0.8 have 64-bit majority fingerprints about ten bits apart, where no pigeonhole key is selective (see ``simhash``), so
-candidates come from min-hash keys: ``BANDS`` keys of ``ROWS`` minima each. Two texts of similarity s share a key with
+Texts whose 64-bit majority fingerprints lie within ``RADIUS`` bits are candidates (the pigeonhole search of ``simhash``). Texts at similarity 0.8 have
+fingerprints about ten bits apart, where no pigeonhole key is selective, so min-hash keys add candidates beyond that radius: ``BANDS`` keys of ``ROWS``
+minima each. Two texts of similarity s share a key with
 chance 1 - (1 - s^ROWS)^BANDS, 1 - 3e-6 at 0.8. Nothing is linked by that: pairs in a bucket whose minima agree in fewer than ``LEAST`` of all
-places are left out (0.8 lies almost five deviations above), the rest forms candidate groups, and inside a candidate group every pair is compared by
+places are left out (0.8 lies almost five deviations above). Candidates of either kind form groups, and inside a candidate group every pair is compared by
 its exact sets of shingle hashes. Linked rows, directly or in chains, are one group.
 
 Texts with the same set of shingles are one node throughout (map-side combined). A task compares a group by walking it: a
@@ -23,10 +24,12 @@ from pyspark.sql import functions as F
 
 from .common import bounded_broadcast, discard, keep, lean, small, stowed
 from .components import connected
-from .simhash import shingle_hashes
+from .simhash import majority, planned_links, shingle_hashes
 
 SIZE, SIMILARITY = 5, 0.8
 BANDS, ROWS = 24, 4
+#: Bits in which the fingerprints of two candidates may differ.
+RADIUS = 4
 #: Minima that have to agree, of BANDS * ROWS.
 LEAST = 58
 #: Nodes of a bucket that are compared in one run; nodes and shingles of a chunk of a candidate group.
@@ -135,11 +138,20 @@ def candidates(nodes: DataFrame) -> DataFrame:
     return _compared(runs.join(nodes, "node").select("run", "node", F.col("minima").alias("data")), alike)
 
 
+def simhash_candidates(nodes: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """(a, b) edges that join, directly or in chains, all ``nodes`` (node, fp) whose fingerprints are within ``radius`` bits; equal ones by their least node."""
+    of = keep(nodes.groupBy("fp").agg(F.min("node").alias("least")), "fps")
+    equal = nodes.join(of, "fp").where("node <> least").select(F.col("least").alias("a"), F.col("node").alias("b"))
+    near = planned_links(of.select("fp"), radius).toDF("_a", "_b")
+    near = near.join(of.toDF("_a", "a"), "_a").join(of.toDF("_b", "b"), "_b").select("a", "b")
+    return equal.union(near)
+
+
 def links(rows: DataFrame, size: int = SIZE, similarity: float = SIMILARITY) -> DataFrame:
-    """(a, b) edges, written, that join, directly or in chains, all nodes of ``rows`` (text, node, minima, shingles) of at least ``similarity``."""
-    nodes = rows.where("shingles > 0").groupBy("node").agg(F.first("minima").alias("minima"), F.first("shingles").alias("shingles"))
+    """(a, b) edges, written, that join, directly or in chains, all nodes of ``rows`` (text, node, minima, fp, shingles) of at least ``similarity``."""
+    nodes = rows.where("shingles > 0").groupBy("node").agg(F.first("minima").alias("minima"), F.first("fp").alias("fp"), F.first("shingles").alias("shingles"))
     nodes = keep(nodes, "nodes")
-    roots = connected(candidates(nodes.select("node", "minima")))
+    roots = connected(simhash_candidates(nodes.select("node", "fp")).union(candidates(nodes.select("node", "minima"))))
     most = lambda c, bound: F.ceil(c / bound)
     groups = (
         roots.join(nodes.select("node", "shingles"), "node").groupBy("root").agg(F.count(F.lit(1)).alias("_n"), F.sum("shingles").alias("_s"))
@@ -160,17 +172,17 @@ def links(rows: DataFrame, size: int = SIZE, similarity: float = SIMILARITY) ->
 
 
 def prepared(docs: DataFrame, size: int = SIZE) -> DataFrame:
-    """(_row, node, minima, shingles) of every row; ``node`` is the hash of its set of shingles, alike for all rows without words."""
+    """(_row, node, minima, fp, shingles) of every row; ``node`` is the hash of its set of shingles, alike for all rows without words, ``fp`` its fingerprint."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
             got = [shingle_set(t, size) for t in b.column("text").to_pylist()]
             node = np.array([xxhash.xxh64_intdigest(s.tobytes()) for s in got], np.uint64).view(np.int64)
-            cols = [b.column("_row"), pa.array(node), pa.array([minima(s) for s in got], pa.binary()), pa.array([len(s) for s in got], pa.int64())]
-            yield pa.RecordBatch.from_arrays(cols, ["_row", "node", "minima", "shingles"])
+            cols = [b.column("_row"), pa.array(node), pa.array([minima(s) for s in got], pa.binary()), pa.array(np.array([majority(s) for s in got], np.uint64).view(np.int64)), pa.array([len(s) for s in got], pa.int64())]
+            yield pa.RecordBatch.from_arrays(cols, ["_row", "node", "minima", "fp", "shingles"])
 
     rows = stowed(docs).select("_row", F.col("_row.text").cast("string").alias("text"))
-    schema = rows.select("_row", F.lit(0).cast("long").alias("node"), F.lit(b"").alias("minima"), F.lit(0).cast("long").alias("shingles")).schema
+    schema = rows.select("_row", F.lit(0).cast("long").alias("node"), F.lit(b"").alias("minima"), F.lit(0).cast("long").alias("fp"), F.lit(0).cast("long").alias("shingles")).schema
     return rows.mapInArrow(lean(run), schema)
 
 
@@ -180,7 +192,7 @@ def keep_one(docs: DataFrame, size: int = SIZE, similarity: float = SIMILARITY)
     Repeated rows and rows with a null id are members like any other, so of a group exactly one row stays.
     """
     rows = keep(prepared(docs, size).withColumn("row", F.monotonically_increasing_id()), "prepared")
-    known = rows.select(F.col("_row.doc_id").alias("doc_id"), F.col("_row.text").cast("string").alias("text"), "node", "minima", "shingles", "row")
+    known = rows.select(F.col("_row.doc_id").alias("doc_id"), F.col("_row.text").cast("string").alias("text"), "node", "minima", "fp", "shingles", "row")
     roots = connected(links(known, size, similarity))
     order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", F.xxhash64("text").alias("text"), "row")
     placed = known.select("row", "node", order.alias("order")).join(roots, "node", "left").select("row", "order", F.coalesce("root", "node").alias("root"))

@@ -53,9 +53,8 @@ def shingle_hashes(text: str, size: int) -> np.ndarray:
     return np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts, stops, strict=True)), np.uint64, len(stops))
 
 
-def fingerprint(text: str | None, size: int = 4) -> int:
-    """The fingerprint, unsigned; zero for a null text and one without words."""
-    h = shingle_hashes(text or "", size)
+def majority(h: np.ndarray) -> int:
+    """The bitwise majority of hashes, unsigned; zero for none."""
     if not len(h):
         return 0
     counts = np.zeros(WIDTH, np.int64)
@@ -64,6 +63,11 @@ def fingerprint(text: str | None, size: int = 4) -> int:
     return int(np.packbits(2 * counts > len(h), bitorder="little").view("<u8")[0])
 
 
+def fingerprint(text: str | None, size: int = 4) -> int:
+    """The fingerprint, unsigned; zero for a null text and one without words."""
+    return majority(shingle_hashes(text or "", size))
+
+
 def fingerprints(docs: DataFrame, size: int = 4) -> DataFrame:
     """(doc_id, fp) of every row; ``fp`` is the fingerprint as a signed long."""
 
@@ -241,6 +245,14 @@ def links(fps: DataFrame, radius: int, parts: list[tuple[list[int], int]]) -> Da
     return runs.repartition(n, "run").sortWithinPartitions("run").mapInArrow(lean(compare), "a long, b long")
 
 
+def planned_links(fps: DataFrame, radius: int) -> DataFrame:
+    """``links`` under the parts of least estimated cost."""
+    n = fps.count()
+    share = min(1.0, ESTIMATE / max(n, 1))
+    sample = fps.where(F.pmod(F.xxhash64("fp", F.lit("sample")), F.lit(1 << 20)) < F.lit(int(share * (1 << 20)) + 1)).limit(4 * ESTIMATE).toPandas()["fp"].to_numpy(np.int64)
+    return links(fps, radius, plan_parts(n, bit_correlation(fps), sample, radius))
+
+
 def near_duplicates(docs: DataFrame, size: int = 4, radius: int = 4) -> DataFrame:
     """Per row: doc_id, fp (signed long) and component_id, the smallest doc_id reachable over links.
 
@@ -250,12 +262,7 @@ def near_duplicates(docs: DataFrame, size: int = 4, radius: int = 4) -> DataFram
     """
     rows = keep(fingerprints(docs, size), "fingerprints")
     nodes = keep(rows.groupBy("fp").agg(F.min("doc_id").alias("least")), "nodes")
-    n = nodes.count()
-    fps = nodes.select("fp")
-    share = min(1.0, ESTIMATE / max(n, 1))
-    sample = fps.where(F.pmod(F.xxhash64("fp", F.lit("sample")), F.lit(1 << 20)) < F.lit(int(share * (1 << 20)) + 1)).limit(4 * ESTIMATE).toPandas()["fp"].to_numpy(np.int64)
-    parts = plan_parts(n, bit_correlation(fps), sample, radius)
-    roots = connected(links(fps, radius, parts))
+    roots = connected(planned_links(nodes.select("fp"), radius))
     named = nodes.join(roots.toDF("fp", "root"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     names = named.groupBy("root").agg(F.min("least").alias("component_id"))
     place = keep(named.join(names, "root").select("fp", "component_id"), "place")

@@ -6,6 +6,8 @@ import numpy as np
 import pytest
 
 import corpus_pipeline as cp
+from pyspark.sql import functions as F
+
 from setdiff.llm import near_copies as N
 
 VOCAB = [f"{a}{b}" for a in "ba de fi go ku".split() for b in "lam nor set vik wun zop".split()]
@@ -78,3 +80,14 @@ def test_one_row_of_repeated_rows_and_null_ids_stays(spark, sf, docs):
     want = sorted([(1, twice), (2, named), (3, None), (None, nameless), (None, alone)], key=str)
     assert sorted(((r["doc_id"], r["text"]) for r in once.collect()), key=str) == want
     assert sorted(((r["doc_id"], r["text"]) for r in stages["suffix_array_dedup"](spark, once, sf).collect()), key=str) == want
+
+
+def test_stage_finds_near_copies_by_their_fingerprints(spark, sf, docs, monkeypatch):
+    """With the min-hash candidates away, near fingerprints still bring copies together, and the exact test still decides."""
+    rng = random.Random(8)
+    text = lambda: [f"{rng.choice(VOCAB)}{rng.randrange(200)}" for _ in range(1500)]
+    a, b = text(), text()
+    given = docs((1, " ".join(a)), (2, " ".join([*a, "more"])), (3, " ".join(b)), (4, " ".join(["first", *b])), (5, " ".join(text())))
+    monkeypatch.setattr(N, "candidates", lambda nodes: nodes.select(F.col("node").alias("a"), F.col("node").alias("b")).limit(0))
+    left = {r["doc_id"] for r in dict(cp.STAGES)["simhash_near_dedup"](spark, given, sf).collect()}
+    assert left == {1, 3, 5}
