@@ -18,8 +18,10 @@ Skew. Copies of a whole text are one text throughout (grouped by a 128-bit hash
 segments of one task are settled there, one of them goes on. A gram in more than ``HOT`` texts is never gathered: its windows are
 compared by 128-bit hash in a combined count and a join that adaptive execution can split; no window is dropped.
 
-Word windows, on demand: so many words that repeat go too, however few bytes they take. Every word of a text becomes four bytes (its CRC-32), and the
-same search runs over those; stretches are drawn in to whole words, and whatever stands between them goes with them.
+Word windows, on demand: so many words that repeat go too, however few bytes they take. Every word of a text becomes four bytes (a hash), and the
+same search runs over those, word by word; stretches are drawn in to whole words, and whatever stands between them goes with them.
+
+Texts are hashed, and anchors chosen, for some ``CHUNK_BYTES`` of consecutive texts at once; windows that would cross texts are left out.
 
 Matches never cross documents; texts are bytes; null is empty; texts shorter than LENGTH repeat nothing. Repeated rows and ids are rows of their own: copies of
 a text of LENGTH bytes or more go entirely. An empty table gives no rows.
@@ -30,7 +32,6 @@ from __future__ import annotations
 import hashlib
 import re
 from collections.abc import Iterator
-from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -38,7 +39,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_broadcast, discard, keep, lean, small, stowed
+from .common import WORD_SPACE, bounded_broadcast, discard, keep, lean, small, stowed
 
 LENGTH, GRAM = 400, 64
 #: Bytes that stand for a word.
@@ -50,7 +51,10 @@ HOT = 512
 RUN_BYTES, MERGE_BYTES = 16 << 20, 4 << 20
 #: Groups up to this size are compared pair by pair, larger ones by classes.
 PAIRWISE = 20
+#: Bytes of texts that are hashed at once.
+CHUNK_BYTES = 1 << 16
 
+_IN_WORD = ~np.isin(np.arange(256), list(WORD_SPACE))
 _M = 0x9E3779B97F4A7C15
 _M2 = 0xC2B2AE3D27D4EB4F
 _POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
@@ -71,46 +75,80 @@ def forget_powers() -> None:
     _POWERS.clear()
 
 
-def string_hashes(raw: bytes, length: int, m: int = _M) -> np.ndarray:
-    """64-bit hash of the ``length`` bytes from every position."""
-    a = np.frombuffer(raw, np.uint8)
-    if len(a) < length:
-        return np.zeros(0, np.uint64)
-    up, down = _powers(m, len(a) + 1)
-    total = np.zeros(len(a) + 1, np.uint64)
-    np.cumsum((a.astype(np.uint64) + np.uint64(1)) * up[: len(a)], out=total[1:])
-    h = (total[length:] - total[:-length]) * down[: len(a) - length + 1]
+def _mixed(h: np.ndarray) -> np.ndarray:
     h ^= h >> np.uint64(32)
     h *= np.uint64(0xD6E8FEB86659FD93)
-    return h ^ (h >> np.uint64(32))
+    h ^= h >> np.uint64(32)
+    return h
+
+
+def _sums(a: np.ndarray, m: int) -> tuple[np.ndarray, np.ndarray]:
+    """(sums before every position, of elements times powers; the inverse powers)."""
+    up, down = _powers(m, len(a) + 1)
+    terms = a.astype(np.uint64)
+    terms += np.uint64(1)
+    terms *= up[: len(a)]
+    total = np.zeros(len(a) + 1, np.uint64)
+    np.cumsum(terms, out=total[1:])
+    return total, down
+
+
+def string_hashes(a: np.ndarray, length: int, m: int = _M) -> np.ndarray:
+    """64-bit hash of the ``length`` elements from every position."""
+    if len(a) < length:
+        return np.zeros(0, np.uint64)
+    total, down = _sums(a, m)
+    h = total[length:] - total[:-length]
+    h *= down[: len(h)]
+    return _mixed(h)
 
 
-def anchors(raw: bytes, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(gram hash, anchor position, first window, last window) of every run of windows with the same anchor."""
-    h = string_hashes(raw, gram)
+def sliding_least(keys: np.ndarray, wide: int) -> np.ndarray:
+    """The least of every ``wide`` neighbouring keys, by doubling."""
+    held = 1
+    while 2 * held <= wide:
+        keys = np.minimum(keys[:-held], keys[held:])
+        held *= 2
+    return keys if held == wide else np.minimum(keys[: len(keys) - wide + held], keys[wide - held :])
+
+
+def anchors(a: np.ndarray, bounds: np.ndarray, length: int = LENGTH, gram: int = GRAM) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(text, gram hash, anchor position, first window, last window) of every run of windows with the same anchor, in order.
+
+    ``a`` holds the elements of texts one after the other, ``bounds`` where each begins and the last ends; positions count in ``a``.
+    """
+    h = string_hashes(a, gram)
     wide = length - gram + 1
-    n = len(h) - wide + 1
-    if n < 1:
+    if len(h) < wide:
         none = np.zeros(0, np.int64)
-        return none.view(np.uint64), none, none, none
-    pad = np.full((-len(h)) % wide, 2**64 - 1, np.uint64)
-    blocks = np.concatenate([h, pad]).reshape(-1, wide)
-    ahead = np.minimum.accumulate(blocks, 1).ravel()
-    back = np.minimum.accumulate(blocks[:, ::-1], 1)[:, ::-1].ravel()
-    least = np.minimum(back[:n], ahead[wide - 1 : wide - 1 + n])
-    change = (np.flatnonzero(least[1:] != least[:-1]) + 1).tolist()
-    place, first, last = [], [], []
-    s = 0
-    for stop in [*change, n]:
-        while s < stop:
-            p = s + int(h[s : s + wide].argmin())
-            e = min(stop - 1, p)
-            place.append(p)
-            first.append(s)
-            last.append(e)
-            s = e + 1
-    at = np.array(place, np.int64)
-    return h[at], at, np.array(first, np.int64), np.array(last, np.int64)
+        return none, none.view(np.uint64), none, none, none
+    # half a hash above the position: the least key is the leftmost gram with the least hash
+    keys = h & np.uint64(0xFFFFFFFF00000000)
+    keys |= np.arange(len(h), dtype=np.uint64)
+    least = sliding_least(keys, wide)
+    first = np.concatenate([[0], np.flatnonzero(least[1:] != least[:-1]) + 1])
+    last = np.append(first[1:] - 1, len(least) - 1)
+    at = (least[first] & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    text = np.searchsorted(bounds, at, "right") - 1
+    first, last = np.maximum(first, bounds[text]), np.minimum(last, bounds[text + 1] - length)
+    inside = first <= last
+    at = at[inside]
+    return text[inside], h[at], at, first[inside], last[inside]
+
+
+def chunks(batches: Iterator[pa.RecordBatch], column: str = "raw") -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+    """(rows, bytes of their texts, bounds of the texts in those) for some ``CHUNK_BYTES`` of texts, one text at least."""
+    for batch in batches:
+        col = batch.column(column)
+        wide = np.int64 if pa.types.is_large_binary(col.type) else np.int32
+        _, ends, data = col.buffers()
+        ends = np.frombuffer(ends, wide)[col.offset : col.offset + len(col) + 1].astype(np.int64) if len(col) else np.zeros(1, np.int64)
+        data = np.frombuffer(data, np.uint8) if data is not None else np.zeros(0, np.uint8)
+        i = 0
+        while i < len(col):
+            j = max(i + 1, int(np.searchsorted(ends, ends[i] + CHUNK_BYTES, "right")) - 1)
+            yield batch.slice(i, j - i), data[ends[i] : ends[j]], ends[i : j + 1] - ends[i]
+            i = j
 
 
 def common_prefix(a: bytes, b: bytes, known: int = 0) -> int:
@@ -246,7 +284,7 @@ def _rows(kind: int, n: int, **cols) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(full[k], types[t]) if k in full else pa.nulls(n, types[t]) for k, t in names], [k for k, _ in names])
 
 
-def _cut_runs(members: list[tuple[int, tuple]], length: int) -> Iterator[pa.RecordBatch]:
+def _cut_runs(members: list[tuple[int, tuple]]) -> Iterator[pa.RecordBatch]:
     """Sorts the (bucket, member) pairs of a task, settles equal segments, and packs one run a bucket."""
     members.sort(key=lambda x: (x[0], x[1][0], x[1][1]))
     goes: list[tuple[int, int, int, int]] = []
@@ -269,44 +307,53 @@ def _cut_runs(members: list[tuple[int, tuple]], length: int) -> Iterator[pa.Reco
         yield _rows(_RUN, 1, bucket=[bucket], blob=[pack_run(run)])
 
 
-def _cut_windows(windows: list[np.ndarray], length: int) -> Iterator[pa.RecordBatch]:
-    """Settles equal windows of a task's hot grams; one of each goes on, marked in ``b`` if it is settled."""
+def _cut_windows(windows: list[np.ndarray], length: int, unit: int) -> Iterator[pa.RecordBatch]:
+    """Settles equal windows of a task's hot grams, given text by text in order; one of each goes on, marked in ``b`` if it is settled."""
     if not windows:
         return
     w = np.concatenate(windows, axis=1)
-    w = w[:, np.lexsort((w[4], w[3], w[2], w[1], w[0]))]
-    new = np.ones(w.shape[1], bool)
-    new[1:] = (w[:2, 1:] != w[:2, :-1]).any(0)
+    by = np.lexsort((w[1], w[0]))
+    new = np.ones(len(by), bool)
+    new[1:] = (w[0, by[1:]] != w[0, by[:-1]]) | (w[1, by[1:]] != w[1, by[:-1]])
     which = np.cumsum(new) - 1
     often = np.bincount(which) > 1
-    g = w[2:, often[which]]
-    g = g[:, np.lexsort((g[2], g[1], g[0]))]
+    goes = np.zeros(len(by), bool)
+    goes[by] = often[which]
+    g = w[2:, goes]
     if g.shape[1]:
         cut = np.ones(g.shape[1], bool)
         cut[1:] = (g[:2, 1:] != g[:2, :-1]).any(0) | (g[2, 1:] != g[2, :-1] + 1)
         begin = np.flatnonzero(cut)
         end = np.append(begin[1:], g.shape[1]) - 1
-        yield _rows(_STRETCH, len(begin), t1=g[0, begin], t2=g[1, begin], a=g[2, begin], b=g[2, end] + length)
-    one = w[:, new]
+        yield _rows(_STRETCH, len(begin), t1=g[0, begin], t2=g[1, begin], a=g[2, begin] * unit, b=(g[2, end] + length) * unit)
+    one = w[:, by[new]]
     for at in range(0, one.shape[1], 1 << 16):
         c = one[:, at : at + (1 << 16)]
-        yield _rows(_WINDOWS, c.shape[1], w1=c[0], w2=c[1], t1=c[2], t2=c[3], a=c[4], b=often[at : at + c.shape[1]].astype(np.int64))
+        yield _rows(_WINDOWS, c.shape[1], w1=c[0], w2=c[1], t1=c[2], t2=c[3], a=c[4] * unit, b=often[at : at + c.shape[1]].astype(np.int64))
 
 
-def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT) -> DataFrame:
+def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: int = HOT, unit: int = 1) -> DataFrame:
     """(t1, t2, a, b), written: stretches to remove, by key of the text; ``texts`` (t1, t2, raw binary) may hold copies of a text.
 
+    With ``unit`` 4, texts are sequences of four-byte elements and windows begin at elements only; all lengths and positions stay in bytes.
     Copies of a whole text count once here; see ``remove_repeats`` for them.
     """
     spark = texts.sparkSession
+    n_window, kind = length // unit, f"<u{unit}"
+    n_gram = max(1, min(gram // unit, n_window))
+    gram = n_gram * unit
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in small(batches):
-            for t1, t2, raw in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                h, n = np.unique(anchors(raw, length, gram)[0].view(np.int64), return_counts=True)
-                if len(h):
-                    k = len(h)
-                    yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(n > 1), pa.array(np.full(k, t1, np.int64)), pa.array(np.full(k, t2, np.int64))], ["gram", "twice", "t1", "t2"])
+        for rows, data, bounds in chunks(batches):
+            text, h, *_ = anchors(data.view(kind), bounds // unit, n_window, n_gram)
+            if not len(h):
+                continue
+            by = np.lexsort((h, text))
+            text, h = text[by], h[by].view(np.int64)
+            new = np.flatnonzero(np.append(True, (h[1:] != h[:-1]) | (text[1:] != text[:-1])))
+            twice = np.diff(np.append(new, len(h))) > 1
+            t1, t2 = (rows.column(c).to_numpy()[text[new]] for c in ("t1", "t2"))
+            yield pa.RecordBatch.from_arrays([pa.array(h[new]), pa.array(twice), pa.array(t1), pa.array(t2)], ["gram", "twice", "t1", "t2"])
 
     grams = keep(texts.where(F.octet_length("raw") >= length).mapInArrow(lean(find, forget_powers), "gram long, twice boolean, t1 long, t2 long"), "grams")
     shared = (
@@ -326,27 +373,35 @@ def repeated_stretches(texts: DataFrame, length: int = LENGTH, gram: int = GRAM,
         members: list[tuple[int, tuple]] = []
         windows: list[np.ndarray] = []
         size = 0
-        for b in small(batches):
-            for t1, t2, raw, grams_of, hot_of in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                h, at, first, last = anchors(raw, length, gram)
-                some, is_hot = np.array(grams_of, np.int64).view(np.uint64), np.array(hot_of, bool)
-                for i in np.flatnonzero(np.isin(h, some[~is_hot])).tolist():
-                    p, s, e = int(at[i]), int(first[i]), int(last[i]) + length
-                    members.append((int(h[i] % np.uint64(buckets)), (raw[p:e], raw[s:p], t1, t2, p, 0)))
-                    size += e - s + 200
-                warm = np.flatnonzero(np.isin(h, some[is_hot]))
-                if len(warm):
-                    w1, w2 = string_hashes(raw, length), string_hashes(raw, length, _M2)
-                    starts = np.concatenate([np.arange(first[i], last[i] + 1) for i in warm.tolist()])
-                    n = len(starts)
-                    windows.append(np.stack([w1[starts].view(np.int64), w2[starts].view(np.int64), np.full(n, t1), np.full(n, t2), starts]))
-                    size += 80 * n
-                if size > RUN_BYTES:
-                    yield from _cut_runs(members, length)
-                    yield from _cut_windows(windows, length)
-                    members, windows, size = [], [], 0
-        yield from _cut_runs(members, length)
-        yield from _cut_windows(windows, length)
+        for rows, data, bounds in chunks(batches):
+            # which grams are wanted and hot doesn't depend on the text
+            some, is_hot = rows.column("gram").flatten().to_numpy().view(np.uint64), rows.column("hot").flatten().to_numpy(zero_copy_only=False)
+            data, bounds = data.view(kind), bounds // unit
+            text, h, at, first, last = anchors(data, bounds, n_window, n_gram)
+            t1, t2 = (rows.column(c).to_numpy() for c in ("t1", "t2"))
+            mild = np.flatnonzero(np.isin(h, some[~is_hot]))
+            if len(mild):
+                raw, of = data.tobytes(), text[mild]
+                place, begin, stop = at[mild], first[mild], last[mild] + n_window
+                into = (h[mild] % np.uint64(buckets)).tolist()
+                own = ((place - bounds[of]) * unit).tolist()
+                for k, p, s, e, x, y, o in zip(into, (place * unit).tolist(), (begin * unit).tolist(), (stop * unit).tolist(), t1[of].tolist(), t2[of].tolist(), own, strict=True):
+                    members.append((k, (raw[p:e], raw[s:p], x, y, o, 0)))
+                size += int((stop - begin).sum()) * unit + 200 * len(mild)
+            warm = np.flatnonzero(np.isin(h, some[is_hot]))
+            if len(warm):
+                w1, w2 = string_hashes(data, n_window), string_hashes(data, n_window, _M2)
+                n = last[warm] - first[warm] + 1
+                of = np.repeat(text[warm], n)
+                starts = np.arange(n.sum()) + np.repeat(first[warm] - np.cumsum(n) + n, n)
+                windows.append(np.stack([w1[starts].view(np.int64), w2[starts].view(np.int64), t1[of], t2[of], starts - bounds[of]]))
+                size += 80 * len(starts)
+            if size > RUN_BYTES:
+                yield from _cut_runs(members)
+                yield from _cut_windows(windows, n_window, unit)
+                members, windows, size = [], [], 0
+        yield from _cut_runs(members)
+        yield from _cut_windows(windows, n_window, unit)
 
     distinct = texts.groupBy("t1", "t2").agg(F.first("raw").alias("raw"))
     cuts = keep(distinct.join(wanted, ["t1", "t2"]).select("t1", "t2", "raw", "gram", "hot").mapInArrow(lean(cut, forget_powers), _PARTS), "runs")
@@ -415,21 +470,42 @@ def at_characters(raw: bytes, spans: list[tuple[int, int]]) -> list[tuple[int, i
     return out
 
 
+def codes_of(data: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(a four-byte hash of every word, number of words of every text) of texts that stand one after the other."""
+    n = len(data)
+    edge = np.zeros(n + 1, bool)
+    edge[bounds] = True
+    word = np.zeros(n + 2, bool)
+    word[1:-1] = _IN_WORD[data]
+    begin = np.flatnonzero(word[1:-1] & (~word[:-2] | edge[:-1]))
+    end = np.flatnonzero(word[1:-1] & (~word[2:] | edge[1:])) + 1
+    total, down = _sums(data, _M)
+    h = _mixed((total[end] - total[begin]) * down[begin])
+    return (h >> np.uint64(32)).astype("<u4"), np.diff(np.searchsorted(begin, bounds))
+
+
 def word_codes(texts: DataFrame, words: int) -> DataFrame:
     """(t1, t2, raw): the words of every text of ``words`` words or more, CODE bytes each."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in small(batches):
-            codes = [np.fromiter(map(crc32, _WORD.findall(raw)), "<u4").tobytes() for raw in b.column("raw").to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column("t1"), b.column("t2"), pa.array(codes, pa.binary())], ["t1", "t2", "raw"])
+        for rows, data, bounds in chunks(batches):
+            codes, n = codes_of(data, bounds)
+            ends = np.append(0, np.cumsum(n) * CODE).astype(np.int32)
+            raw = pa.Array.from_buffers(pa.binary(), len(n), [None, pa.py_buffer(ends), pa.py_buffer(codes)])
+            yield pa.RecordBatch.from_arrays([rows.column("t1"), rows.column("t2"), raw], ["t1", "t2", "raw"])
 
-    return texts.mapInArrow(lean(run), "t1 long, t2 long, raw binary").where(F.octet_length("raw") >= CODE * words)
+    return texts.mapInArrow(lean(run, forget_powers), "t1 long, t2 long, raw binary").where(F.octet_length("raw") >= CODE * words)
 
 
-def word_spans(raw: bytes, found: list[tuple[int, int]], words: int) -> list[tuple[int, int]]:
-    """The bytes of those stretches of word codes that hold ``words`` whole words or more."""
+def word_runs(found: list[tuple[int, int]], words: int) -> list[tuple[int, int]]:
+    """Those stretches of word codes that hold ``words`` whole words or more, counted in words."""
     whole = [(-(-a // CODE), b // CODE) for a, b in join_stretches(found)]
-    whole = [(i, j) for i, j in whole if j - i >= words]
+    return [(i, j) for i, j in whole if j - i >= words]
+
+
+def word_spans(raw: bytes, found: list[tuple[int, int]], words: int) -> list[tuple[int, int]]:
+    """The bytes of ``word_runs``."""
+    whole = word_runs(found, words)
     at = [m.span() for m in _WORD.finditer(raw)] if whole else []
     return [(at[i][0], at[j - 1][1]) for i, j in whole]
 
@@ -455,7 +531,7 @@ def repeat_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot: i
 def word_repeats(texts: DataFrame, words: int, gram: int = GRAM, hot: int = HOT) -> tuple[DataFrame, DataFrame]:
     """(stretches, copies) as in ``repeat_spans``, of runs of ``words`` words or more that repeat; ``stretches`` count in word codes, see ``word_spans``."""
     codes = keep(word_codes(texts, words), "codes")
-    found = repeated_stretches(codes, CODE * words, gram, hot)
+    found = repeated_stretches(codes, CODE * words, gram, hot, CODE)
     copies = keep(codes.groupBy("t1", "t2").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("t1", "t2"), "copies")
     discard(codes)
     return found.groupBy("t1", "t2").agg(F.collect_set(F.struct("a", "b")).alias("stretches")), copies
@@ -502,7 +578,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
                         whole.append(raw[at:x])
                         at = y
                     text = b"".join([*whole, raw[at:]]).decode("utf-8", "replace")
-                by_word = len(word_spans(raw, list(zip(wa, wb, strict=True)), words)) if wa else 0
+                by_word = len(word_runs(list(zip(wa, wb, strict=True)), words)) if wa else 0
                 rows.append((t1, t2, sum(y - x for x, y in gone), len(gone), by_word, hashlib.sha256(b"".join(left)).hexdigest(), text))
             kinds = [pa.int64()] * 5 + [pa.string()] * 2
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], k) for i, k in enumerate(kinds)], ["t1", "t2", "_removed", "_spans", "_by_word", "_sha", "_left"])
